@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from spreadsample.llm import ann, vector_dedup
+from spreadsample.llm import ann, linededup, mixing, sharding, vector_dedup
 from spreadsample.llm.common import table
 from spreadsample.llm.simhash import near_duplicates
 
@@ -24,11 +24,65 @@ def op7_embedding_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return vector_dedup.near_duplicates(table(spark, sf_dir, "embeddings"))
 
 
+def op4_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return linededup.dedup_lines(table(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
+def op8_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.taken(table(spark, sf_dir, "documents"))
+
+
+def op9_shard(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sharding.shard(table(spark, sf_dir, "documents"))
+
+
+OP4_SQL = """
+WITH l AS (
+  SELECT doc_id, n, ls[n] AS line, length(ls[n]) + 1 AS w, ls
+  FROM (SELECT doc_id, string_split(text, chr(10)) AS ls FROM documents) d, unnest(range(1, len(ls) + 1)) AS t(n)),
+c AS (SELECT *, sum(w) OVER (PARTITION BY doc_id ORDER BY n) AS upto FROM l),
+ends AS (
+  SELECT a.doc_id, a.n AS s, min(b.n) AS e FROM c a JOIN c b ON a.doc_id = b.doc_id AND b.n BETWEEN a.n AND a.n + 19
+  WHERE b.upto - a.upto + a.w >= 20 GROUP BY a.doc_id, a.n
+  UNION
+  SELECT b.doc_id, max(a.n) AS s, b.n AS e FROM c a JOIN c b ON a.doc_id = b.doc_id AND a.n BETWEEN b.n - 19 AND b.n
+  WHERE b.upto - a.upto + a.w >= 20 GROUP BY b.doc_id, b.n),
+named AS (SELECT ends.doc_id, s, e, array_to_string(ls[s:e], chr(10)) AS run FROM ends JOIN l ON l.doc_id = ends.doc_id AND l.n = ends.s),
+late AS (SELECT * FROM named QUALIFY row_number() OVER (PARTITION BY run, e - s ORDER BY doc_id, s) > 1),
+gone AS (SELECT DISTINCT doc_id, t.n FROM late, unnest(range(s, e + 1)) AS t(n)),
+kept AS (SELECT l.doc_id, l.line, l.n, gone.n IS NOT NULL AS g FROM l LEFT JOIN gone ON l.doc_id = gone.doc_id AND l.n = gone.n)
+SELECT d.doc_id, CASE WHEN d.text IS NULL THEN NULL ELSE coalesce(k.text, '') END AS text,
+       CAST(coalesce(n_lines, 0) AS BIGINT) AS n_lines, CAST(coalesce(n_removed, 0) AS BIGINT) AS n_removed
+FROM documents d LEFT JOIN (
+  SELECT doc_id, string_agg(line, chr(10) ORDER BY n) FILTER (WHERE NOT g) AS text, count(*) AS n_lines, count(*) FILTER (WHERE g) AS n_removed
+  FROM kept GROUP BY doc_id) k ON d.doc_id = k.doc_id
+"""
+
+OP8_SQL = """
+WITH d AS (
+  SELECT doc_id, source, CAST(coalesce(len(regexp_extract_all(text, '[^\\x20\\x09-\\x0D]+')), 0) AS BIGINT) AS size,
+         md5(coalesce(CAST(doc_id AS VARCHAR), '')) AS h FROM documents),
+p AS (SELECT source, CAST(sum(size) AS BIGINT) AS source_size, row_number() OVER (ORDER BY source NULLS LAST) - 1 AS sid FROM d GROUP BY source),
+q AS (SELECT *, sid % 3 + 1 AS w, 3 * source_size AS cap FROM p),
+r AS (SELECT *, CAST(sum(cap) OVER f AS BIGINT) - cap AS before,
+             CAST(sum(w) OVER (ORDER BY cap / w, sid ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS BIGINT) AS remaining,
+             CAST(sum(source_size) OVER () AS BIGINT) AS total
+      FROM q WINDOW f AS (ORDER BY cap / w, sid ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW)),
+lv AS (SELECT (total - before) / remaining AS level FROM r WHERE (total - before) / remaining <= cap / w ORDER BY cap / w, sid LIMIT 1),
+t AS (SELECT source, source_size, least(CAST(cap AS DOUBLE), w * level) AS target FROM r, lv),
+s AS (SELECT doc_id, size, source_size, target, CAST(floor(target) AS BIGINT) AS words,
+             CAST(sum(size) OVER (PARTITION BY d.source ORDER BY h, size ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS BIGINT) - size AS start
+      FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source)
+SELECT doc_id, size, source_size, target,
+       CASE WHEN source_size = 0 THEN 0 ELSE words // source_size * size + greatest(0, least(size, words % source_size - start)) END AS taken
+FROM s
+"""
+
 OP7_SQL = """
 WITH RECURSIVE v AS (
   SELECT vec_id, CAST(embedding AS DOUBLE[]) AS e,
-         coalesce(len(list_filter(embedding, x -> x IS NULL OR NOT isfinite(x))) = 0
-                  AND len(list_filter(embedding, x -> x <> 0)) > 0, false) AS ok
+         coalesce(len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0
+                  AND len(list_filter(embedding, lambda x: x <> 0)) > 0, false) AS ok
   FROM embeddings),
 links AS (
   SELECT a.vec_id AS a, b.vec_id AS b FROM v a JOIN v b ON a.vec_id <> b.vec_id
@@ -42,8 +96,8 @@ FROM v JOIN comp USING (vec_id) LEFT JOIN counts USING (vec_id)
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_simhash_near_dedup, op2_nearest_neighbours, op7_embedding_near_dedup)}
+    return {f.__name__: f for f in (op1_simhash_near_dedup, op2_nearest_neighbours, op4_line_dedup, op7_embedding_near_dedup, op8_mix_sources, op9_shard)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op7_embedding_near_dedup": OP7_SQL}
+    return {"op4_line_dedup": OP4_SQL, "op8_mix_sources": OP8_SQL, "op7_embedding_near_dedup": OP7_SQL}
