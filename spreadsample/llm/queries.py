@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from spreadsample.llm import ann, linededup, mixing, sharding, vector_dedup
+from spreadsample.llm import ann, bpe, langid, linededup, mixing, sharding, vector_dedup
 from spreadsample.llm.common import table
 from spreadsample.llm.simhash import near_duplicates
 
@@ -24,6 +24,21 @@ def op7_embedding_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return vector_dedup.near_duplicates(table(spark, sf_dir, "embeddings"))
 
 
+def vocabulary_file(name: str) -> str:
+    """Where an installed public vocabulary lies on the driver; executors get what was read from it."""
+    import public_tokenizers
+
+    return public_tokenizers.path(name)
+
+
+def op3_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return langid.identify(table(spark, sf_dir, "documents"), vocabulary_file("piece_bpe_32k.model"))
+
+
+def op5_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return bpe.digests(table(spark, sf_dir, "documents"), vocabulary_file("byte_bpe_50k.json"))
+
+
 def op4_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return linededup.dedup_lines(table(spark, sf_dir, "documents").select("doc_id", "text"))
 
@@ -96,7 +111,7 @@ FROM v JOIN comp USING (vec_id) LEFT JOIN counts USING (vec_id)
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_simhash_near_dedup, op2_nearest_neighbours, op4_line_dedup, op7_embedding_near_dedup, op8_mix_sources, op9_shard)}
+    return {f.__name__: f for f in (op1_simhash_near_dedup, op2_nearest_neighbours, op3_language_id, op4_line_dedup, op5_bpe, op7_embedding_near_dedup, op8_mix_sources, op9_shard)}
 
 
 def oracle_sql() -> dict[str, str]:
