@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from spreadsample.llm import ann, bpe, langid, linededup, mixing, sharding, vector_dedup
+from spreadsample.llm import ann, bpe, langid, linededup, mixing, quality, secrets, sharding, vector_dedup
 from spreadsample.llm.common import table
 from spreadsample.llm.simhash import near_duplicates
 
@@ -43,6 +43,14 @@ def op4_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return linededup.dedup_lines(table(spark, sf_dir, "documents").select("doc_id", "text"))
 
 
+def op6_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return secrets.digests(table(spark, sf_dir, "documents"))
+
+
+def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.score(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op8_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.taken(table(spark, sf_dir, "documents"))
 
@@ -111,7 +119,7 @@ FROM v JOIN comp USING (vec_id) LEFT JOIN counts USING (vec_id)
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_simhash_near_dedup, op2_nearest_neighbours, op3_language_id, op4_line_dedup, op5_bpe, op7_embedding_near_dedup, op8_mix_sources, op9_shard)}
+    return {f.__name__: f for f in (op1_simhash_near_dedup, op2_nearest_neighbours, op3_language_id, op4_line_dedup, op5_bpe, op6_secrets, op7_embedding_near_dedup, op8_mix_sources, op9_shard, op10_quality)}
 
 
 def oracle_sql() -> dict[str, str]:
