@@ -19,14 +19,15 @@ ACCESS, HEX = r"AKIA[A-Z0-9]+", r"[0-9a-f]+"
 LEAST = {"assign": 12, "access": 18, "hex": 16, "markov": 20}
 KINDS = ("assign", "access", "hex", "markov")
 ALPHABET = "abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789+/_=-"
-CANDIDATE = r"(?<![A-Za-z0-9+/_=-])[A-Za-z0-9+/_=-]{20,}"
+#: A whole token with a digit in it.
+CANDIDATE = r"(?<![A-Za-z0-9+/_=-])(?=[A-Za-z+/_=-]*[0-9])[A-Za-z0-9+/_=-]{20,}"
 RANDOM_SAMPLE, ORDINARY_DOCS, PER_STEP = 2048, 2000, 0.9
 SPAN = "array<struct<start:int,rank:int,end:int>>"
 
 
 def matches(text: Column, pattern: str, rank: int, group: int | None = None, least: int = 0) -> Column:
     """Spans of the leftmost non-overlapping matches whose group (or whole) has at least `least` code points."""
-    lazy = F.lit(f"(?s)(.*?)({pattern})")
+    lazy = F.lit(rf"(?s)\G(.*?)({pattern})")  # \G: after the last match, one pass to the end and no new starts
     part = lambda g: F.regexp_extract_all(text, lazy, F.lit(g))
     zipped = F.arrays_zip(part(1).alias("gap"), part(2).alias("hit"), part(3 if group else 2).alias("value"))
     sized = F.transform(zipped, lambda x: F.struct(F.length(x["gap"]).alias("gap"), F.length(x["hit"]).alias("hit"), F.length(x["value"]).alias("value")))
@@ -104,7 +105,7 @@ def scan(docs: DataFrame, per_step: float = PER_STEP, **options) -> DataFrame:
     found = docs.select("doc_id", text.alias("text")).select("doc_id", "text", *[c.alias(k) for k, c in zip(KINDS, base_spans(F.col("text")))], matches(F.col("text"), CANDIDATE, 3).alias("likely"))
     clash = lambda x: F.exists(F.concat("assign", "access", "hex"), lambda b: (b["start"] < x["end"]) & (x["start"] < b["end"]))
     token = lambda x: F.col("text").substr(x["start"] + 1, x["end"] - x["start"])
-    random = lambda x: ~clash(x) & token(x).rlike("[0-9]") & (ratio_per_step(token(x), ratios) >= per_step)
+    random = lambda x: ~clash(x) & (ratio_per_step(token(x), ratios) >= per_step)
     return found.select("doc_id", "assign", "access", "hex", F.filter("likely", random).alias("markov"))
 
 
