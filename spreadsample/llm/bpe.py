@@ -217,6 +217,23 @@ def encode(docs: DataFrame, path: str) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, ids array<int>")
 
 
+def encode_and_decode(docs: DataFrame, path: str) -> DataFrame:
+    """(doc_id, n_tokens, ids, text) for every row of docs: the ids of each text and what they decode to."""
+    codec = Codec(path)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            at = 0
+            for texts in chunks(b.column(1)):
+                ids = codec.encode(texts)
+                sizes = np.array([len(x) for x in ids], np.int64)
+                listed = pa.ListArray.from_arrays(pa.array(np.concatenate(([0], np.cumsum(sizes))).astype(np.int32)), pa.array(np.concatenate(ids) if ids else np.zeros(0, np.int32), pa.int32()))
+                yield pa.RecordBatch.from_arrays([b.column(0).slice(at, len(texts)), pa.array(sizes), listed, pa.array([codec.decode(x) for x in ids], pa.string())], ["doc_id", "n_tokens", "ids", "text"])
+                at += len(texts)
+
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, n_tokens long, ids array<int>, text string")
+
+
 def decode(encoded: DataFrame, path: str) -> DataFrame:
     """(doc_id, text) from (doc_id, ids)."""
     codec = Codec(path)

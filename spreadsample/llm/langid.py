@@ -151,48 +151,71 @@ def learned(docs: DataFrame, path: str, per_lang: int = DOCS_PER_LANG, words_per
     return segmenter, langs, np.column_stack([segmenter.learn([w for w, _ in found[x]], np.array([n for _, n in found[x]], float)) for x in langs]) if langs else np.zeros((segmenter.n_pieces, 0))
 
 
+def predictor(segmenter: Segmenter, langs: list[str], probability: np.ndarray):
+    """A function from lists of texts to (languages, scores); words that it has met are kept, up to a bound."""
+    letters = re.compile(r"[^\W\d_]{1,%d}" % LONGEST)
+    known: dict[str, int] = {}
+    table = np.zeros((0, len(langs)))
+
+    def predict(texts: list[str]) -> tuple[list[str], list[float]]:
+        nonlocal known, table
+        words = [letters.findall(t.lower()) for t in texts]
+        counts = np.array([len(w) for w in words], np.int64)
+        flat = [w for ws in words for w in ws]
+        if len(known) > CACHED_WORDS:
+            known, table = {}, table[:0]
+        new = [w for w in dict.fromkeys(flat) if w not in known]
+        for s in range(0, len(new), 20_000) if langs else ():
+            part = new[s : s + 20_000]
+            known.update(zip(part, range(len(known), len(known) + len(part))))
+            spelt = ["".join(filter(str.isalpha, w)) for w in part]  # \w has some numerals too
+            found = segmenter.forward([w or "a" for w in spelt], probability)
+            found[[i for i, w in enumerate(spelt) if not w]] = 0
+            table = np.vstack((table, found))
+        total = np.zeros((len(texts), len(langs)))
+        some = np.flatnonzero(counts)
+        if langs and len(some):
+            at = np.fromiter(map(known.__getitem__, flat), np.int64, len(flat))
+            total[some] = np.add.reduceat(table[at], (np.cumsum(counts) - counts)[some])
+        if not langs:
+            return [UNKNOWN] * len(texts), [0.0] * len(texts)
+        best = total.argmax(axis=1)
+        score = 1 / np.exp(total - total[np.arange(len(texts)), best][:, None]).sum(axis=1)
+        none = ~total.any(axis=1)
+        return [UNKNOWN if n else langs[b] for n, b in zip(none, best)], np.where(none, 0.0, score).tolist()
+
+    return predict
+
+
 def identify(docs: DataFrame, path: str, **options) -> DataFrame:
     """(doc_id, held_out, lang_pred, score) for every row of docs (doc_id, text, lang). Only texts are read to predict.
 
     score is the predicted language's posterior under equal priors. A text that is null or has no letter, and any text if nothing could be
     learned, is `und` with score 0; ties go to the first language by name. Words beyond 24 letters are read as words of 24 letters and the rest."""
     docs = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"), F.col("lang").cast("string"))
-    segmenter, langs, probability = learned(docs, path, **options)
-    letters = re.compile(r"[^\W\d_]{1,%d}" % LONGEST)
+    model = learned(docs, path, **options)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known: dict[str, int] = {}
-        table = np.zeros((0, len(langs)))
+        predict = predictor(*model)
         for b in batches:
             pred, score = [], []
             for texts in chunks(b.column(2)):
-                words = [letters.findall(t.lower()) for t in texts]
-                counts = np.array([len(w) for w in words], np.int64)
-                flat = [w for ws in words for w in ws]
-                del words
-                if len(known) > CACHED_WORDS:
-                    known, table = {}, table[:0]
-                new = [w for w in dict.fromkeys(flat) if w not in known]
-                for s in range(0, len(new), 20_000) if langs else ():
-                    part = new[s : s + 20_000]
-                    known.update(zip(part, range(len(known), len(known) + len(part))))
-                    spelt = ["".join(filter(str.isalpha, w)) for w in part]  # \w has some numerals too
-                    found = segmenter.forward([w or "a" for w in spelt], probability)
-                    found[[i for i, w in enumerate(spelt) if not w]] = 0
-                    table = np.vstack((table, found))
-                total = np.zeros((len(texts), len(langs)))
-                some = np.flatnonzero(counts)
-                if langs and len(some):
-                    at = np.fromiter(map(known.__getitem__, flat), np.int64, len(flat))
-                    total[some] = np.add.reduceat(table[at], (np.cumsum(counts) - counts)[some])
-                for t, row in zip(texts, total):
-                    if not langs or not row.any():
-                        pred.append(UNKNOWN)
-                        score.append(0.0)
-                    else:
-                        best = int(row.argmax())
-                        pred.append(langs[best])
-                        score.append(float(1 / np.exp(row - row[best]).sum()))
+                found = predict(texts)
+                pred += found[0]
+                score += found[1]
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(pred, pa.string()), pa.array(score, pa.float64())], ["doc_id", "held_out", "lang_pred", "score"])
 
     return docs.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "text").mapInArrow(run, "doc_id long, held_out boolean, lang_pred string, score double")
+
+
+def with_language(docs: DataFrame, path: str, **options) -> DataFrame:
+    """The rows of docs (doc_id, text, lang and any others, kept) whose text has a language; `und` goes."""
+    model = learned(docs, path, **options)
+    at = docs.columns.index("text")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        predict = predictor(*model)
+        for b in batches:
+            yield b.filter(pa.array([x != UNKNOWN for texts in chunks(b.column(at)) for x in predict(texts)[0]], pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)

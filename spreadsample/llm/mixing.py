@@ -105,3 +105,16 @@ def taken(docs: DataFrame, **options) -> DataFrame:
     none = m.docs.where("size = 0").withColumn("taken", F.lit(0).cast("long"))
     cols = ["doc_id", "size", "source_size", "target", "taken"]
     return some.withColumn("taken", F.coalesce("taken", F.lit(0))).select(*cols).union(none.select(*cols))
+
+
+def mixed(docs: DataFrame, **options) -> DataFrame:
+    """Rows of docs (doc_id, text, source and any others, kept), each as often as the mix takes it, to the nearest whole time:
+    only a source's last document is taken in part. Documents without words are never taken. Rows that repeat an id and size
+    share evenly what the mix takes of them."""
+    per_id = taken(docs, **options).where("taken > 0").groupBy(F.col("doc_id").alias("mix_id"), F.col("size").alias("mix_size")).agg(F.sum("taken").alias("mix_taken"), F.count("*").alias("mix_rows"))
+    names = [f"in_{i}" for i in range(len(docs.columns))]
+    place = {c: names[i] for i, c in enumerate(docs.columns)}
+    known = docs.toDF(*names).withColumn("own_size", words_in(F.col(place["text"])))
+    times = F.floor(F.col("mix_taken") / (F.col("own_size") * F.col("mix_rows")) + 0.5).cast("int")
+    out = known.join(per_id, F.col(place["doc_id"]).eqNullSafe(F.col("mix_id")) & (F.col("own_size") == F.col("mix_size"))).withColumn("times", times).where("times > 0")
+    return out.withColumn("time", F.explode(F.sequence(F.lit(1), F.col("times")))).select(*names).toDF(*docs.columns)

@@ -15,7 +15,7 @@ from itertools import combinations, repeat
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from spreadsample.llm.common import components, durable
@@ -205,3 +205,14 @@ def near_duplicates(docs: DataFrame, width: int = SHINGLE, radius: int = RADIUS,
     least = rooted.groupBy("root").agg(F.min("first_id").alias("component_id"))
     found = durable(rooted.join(least, "root").select("fp", "component_id"))
     return fps.join(found, "fp").select("doc_id", hex16(F.col("fp")).alias("fingerprint"), "component_id")
+
+
+def deduplicate(docs: DataFrame, **options) -> DataFrame:
+    """One row of docs (doc_id, text and any others, kept) for each component of near duplicates: that of the smallest id. Rows
+    without an id stand behind all others by a hash of their text; of rows that repeat an id one stays."""
+    key = F.coalesce(F.col("doc_id").cast("long"), F.lit(1 << 62) + F.xxhash64("text").bitwiseAND(F.lit((1 << 62) - 1)))
+    names = [f"in_{i}" for i in range(len(docs.columns))]
+    keyed = docs.toDF(*names).withColumn("key", F.coalesce(F.col(names[docs.columns.index("doc_id")]).cast("long"), F.lit(1 << 62) + F.xxhash64(names[docs.columns.index("text")]).bitwiseAND(F.lit((1 << 62) - 1))))
+    stay = near_duplicates(docs.select(key.alias("doc_id"), "text"), **options).where("doc_id = component_id").select(F.col("doc_id").alias("key")).distinct()
+    first = F.row_number().over(Window.partitionBy("key").orderBy(F.xxhash64(names[docs.columns.index("text")])))
+    return keyed.join(stay, "key", "left_semi").withColumn("nth", first).where("nth = 1").select(*names).toDF(*docs.columns)
