@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 TABLES = ("region", "nation", "customer", "supplier", "part", "orders", "lineitem", "events", "documents", "embeddings", "pages", "benchmark", "labels", "conversations")
-LINE_ID = "concat_ws('-', l_orderkey, l_linenumber, l_partkey, l_suppkey, CAST(CAST(l_extendedprice * 100 AS BIGINT) AS VARCHAR(20)))"
+LINE_ID = "concat_ws('-', l_orderkey, l_linenumber, l_partkey, l_suppkey, CAST(CAST(floor(l_extendedprice * 100 + 0.5e0) AS BIGINT) AS VARCHAR(20)))"
 FRAC = "({0} - CAST(floor({0}) AS DOUBLE))".format
 
 #: Uniform and normal columns derived from lineitem, and the hub layout; fixed values of the derived sets.

@@ -69,7 +69,7 @@ def balanced_quota(counts: DataFrame, k: int) -> DataFrame:
     filled = counts.withColumns({"below": F.coalesce(F.sum("n").over(by_size.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)), "left": F.count("*").over(by_size.rowsBetween(0, Window.unboundedFollowing))})
     level = F.floor((F.lit(k) - F.col("below")) / F.col("left"))
     open_bin = F.col("n") > level
-    filled = filled.withColumn("level", F.min(F.when(open_bin, level)).over(every))
+    filled = filled.withColumn("level", F.max(F.when(open_bin, level)).over(every))
     filled = filled.withColumn("base", F.when(F.col("level").isNull(), F.col("n")).otherwise(F.least("n", "level")))
     spare = F.lit(k) - F.sum("base").over(every)
     more = (F.col("n") > F.col("base")).cast("int")
