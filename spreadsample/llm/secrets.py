@@ -58,12 +58,13 @@ def transitions(samples: DataFrame) -> DataFrame:
 def labelled_samples(docs: DataFrame, random: int = RANDOM_SAMPLE, ordinary: int = ORDINARY_DOCS) -> DataFrame:
     """(label, token): 1 for random strings, 0 for ordinary identifiers; bounded by the two parameters.
 
-    Random: base64 and alphanumeric strings of a hash, and the values of known forms in the sampled documents. Ordinary: words of the
-    documents (those of smallest hash) in the shapes of identifiers."""
+    Random: base64 and alphanumeric strings of a hash, and the values of known forms in the sampled documents. Ordinary: words of
+    about `ordinary` documents (chosen by a hash of the id) in the shapes of identifiers."""
     spark = docs.sparkSession
     raw = spark.range(random).select(F.sha2(F.concat(F.lit("sample"), F.col("id").cast("string")), 256).alias("x"))
     strings = raw.select(F.explode(F.array(F.base64(F.unhex("x")), F.substring(F.regexp_replace(F.base64(F.unhex("x")), "[+/=]", ""), 1, 32), F.upper(F.substring(F.conv(F.substring("x", 1, 15), 16, 36), 1, 12)))).alias("token"))
-    some = docs.select("text").where(F.col("text").isNotNull()).withColumn("h", F.xxhash64("text")).where(F.length("text") > 0).orderBy("h", "text").limit(ordinary).select("text")
+    share = F.lit(1_000_000 * ordinary / max(1, docs.count()))
+    some = docs.where(F.col("doc_id").isNotNull() & F.col("text").isNotNull()).where(F.pmod(F.xxhash64("doc_id", F.lit(5)), F.lit(1_000_000)) < share).select("text")
     values = some.select(F.explode(F.regexp_extract_all("text", F.lit(ASSIGN), F.lit(1))).alias("token")).where(F.length("token") >= LEAST["assign"])
     words = F.filter(F.split(F.lower("text"), "[^a-z]+"), lambda w: F.length(w).between(2, 24))
     joined = some.select(F.posexplode(words).alias("i", "w")).select("w", F.lead("w").over(Window.partitionBy("i").orderBy("w")).alias("w2")).where("w2 IS NOT NULL")
