@@ -3,7 +3,8 @@
 The tree is fitted on a bounded sample and every row is put into a leaf. A query walks the tree through a
 priority queue of node centres and visits the leaves it pops. How many leaves each query visits is widened
 until the recall of bounded calibration queries, whose true neighbours come from an exact scan of all
-rows, reaches the target. Leaves larger than LEAF_BLOCK rows are split by id, so one full leaf is many tasks.
+rows, reaches the target. Leaves larger than LEAF_BLOCK rows are split by id, so one full leaf is many tasks;
+small leaves that neighbour in the tree are compared in one task, which returns k rows a query.
 """
 
 from __future__ import annotations
@@ -21,7 +22,7 @@ from spreadsample.llm.common import durable
 from spreadsample.llm.vectors import dimension, matrix, usable
 
 FIT_SAMPLE, CALIBRATION, TARGET = 20_000, 96, 0.97
-BRANCHES, LEAF_ROWS, LEAF_BLOCK = 8, 256, 4096
+BRANCHES, LEAF_ROWS, LEAF_BLOCK, BUNDLE = 8, 256, 4096, 16384
 
 
 @dataclass
@@ -108,7 +109,7 @@ def _top(scored: DataFrame, k: int) -> DataFrame:
     return scored.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)
 
 
-def search(vectors: DataFrame, is_query: Column, k: int = 10, target: float = TARGET, fit_sample: int = FIT_SAMPLE, calibration: int = CALIBRATION, leaf_rows: int = LEAF_ROWS, leaf_block: int = LEAF_BLOCK, seed: int = 7) -> DataFrame:
+def search(vectors: DataFrame, is_query: Column, k: int = 10, target: float = TARGET, fit_sample: int = FIT_SAMPLE, calibration: int = CALIBRATION, leaf_rows: int = LEAF_ROWS, leaf_block: int = LEAF_BLOCK, bundle_rows: int = BUNDLE, seed: int = 7) -> DataFrame:
     """(query_id, rank, vec_id, score): for each row of vectors (vec_id, embedding) with is_query, the k
     nearest other ids found, by Euclidean distance in double precision, ties to the smaller id.
 
@@ -142,43 +143,59 @@ def search(vectors: DataFrame, is_query: Column, k: int = 10, target: float = TA
     for leaf, n in placed.groupBy("leaf").count().collect():  # at most as many rows as the tree has leaves
         counts[leaf] = n
     visits = _calibrated(placed, tree, counts, k, target, calibration, by_hash)
-    blocks = -(-counts // leaf_block)
+    blocks = np.maximum(1, -(-counts // leaf_block))
+    # units (a leaf's blocks, leaf by leaf) are gathered into bundles of about BUNDLE rows: neighbours in the tree share a task
+    first_unit = np.cumsum(blocks) - blocks
+    unit_rows = np.repeat(counts / blocks, blocks)
+    bundle_of = ((np.cumsum(unit_rows) - unit_rows) // bundle_rows).astype(np.int64)
 
     def ask(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            at, leaves, block = [], [], []
+            at, bundles, leaves = [], [], []
             for i, q in enumerate(matrix(b.column(1))):
                 seen = held = 0
+                wanted: dict[int, list[int]] = {}
                 for leaf in tree.visits(q):
                     if seen >= visits and held > k:
                         break
                     seen, held = seen + 1, held + counts[leaf]
-                    at += [i] * int(blocks[leaf])
-                    leaves += [leaf] * int(blocks[leaf])
-                    block += range(int(blocks[leaf]))
+                    for bundle in set(bundle_of[first_unit[leaf] : first_unit[leaf] + blocks[leaf]].tolist()):
+                        wanted.setdefault(bundle, []).append(leaf)
+                for bundle, some in wanted.items():
+                    at.append(i)
+                    bundles.append(bundle)
+                    leaves.append(some)
             for low in range(0, len(at), 20_000):
                 part = slice(low, low + 20_000)
                 picked = b.take(pa.array(at[part], pa.int64()))
-                yield pa.RecordBatch.from_arrays([picked.column(0), picked.column(1), pa.array(leaves[part], pa.int32()), pa.array(block[part], pa.int32())], ["query_id", "q", "leaf", "block"])
+                yield pa.RecordBatch.from_arrays([picked.column(0), picked.column(1), pa.array(bundles[part], pa.int64()), pa.array(leaves[part], pa.list_(pa.int32()))], ["query_id", "q", "bundle", "leaves"])
 
     def compare(asked: pa.Table, held: pa.Table) -> pa.Table:
-        if not asked.num_rows or not held.num_rows:
-            return pa.table({"query_id": pa.array([], pa.int64()), "vec_id": pa.array([], pa.int64()), "score": pa.array([], pa.float64())})
-        ids = asked.column("query_id").to_numpy()
-        i, found, score = nearest_in_block(matrix(asked.column("q")), ids, matrix(held.column("embedding")), held.column("vec_id").to_numpy(), k)
-        return pa.table({"query_id": ids[i], "vec_id": found, "score": score})
-
-    # rows with the same id and vector go to the same block; a leaf's blocks share its rows evenly
-    in_leaf = F.element_at(F.array(*[F.lit(int(x)) for x in blocks]), F.col("leaf") + 1) if len(blocks) <= 500 else None
-    if in_leaf is None:
-        table = spark.createDataFrame([(i, int(x)) for i, x in enumerate(blocks)], "leaf int, blocks int")
-        placed_blocks = placed.join(F.broadcast(table), "leaf")
-        in_leaf = F.col("blocks")
-    else:
-        placed_blocks = placed
-    held = placed_blocks.withColumn("block", F.pmod(F.xxhash64("vec_id", F.lit(1)), in_leaf.cast("long")).cast("int")).select("vec_id", "embedding", "leaf", "block")
-    queries = placed.where("asked").select("vec_id", "embedding").mapInArrow(ask, f"query_id long, q {kind}, leaf int, block int")
-    scored = queries.groupBy("leaf", "block").cogroup(held.groupBy("leaf", "block")).applyInArrow(compare, "query_id long, vec_id long, score double")
+        """Each query's k best in the bundle, from the leaves that it visits there."""
+        found: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = [(np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0))]
+        if asked.num_rows and held.num_rows:
+            ids, q = asked.column("query_id").to_numpy(), matrix(asked.column("q"))
+            rows, row_ids, leaf = matrix(held.column("embedding")), held.column("vec_id").to_numpy(), held.column("leaf").to_numpy()
+            lists = asked.column("leaves").combine_chunks()
+            asker, asked_leaf = np.repeat(np.arange(len(ids)), np.diff(lists.offsets.to_numpy())), lists.flatten().to_numpy()
+            for v in np.unique(leaf):
+                who, some = asker[asked_leaf == v], leaf == v
+                if len(who):
+                    i, near, score = nearest_in_block(q[who], ids[who], rows[some], row_ids[some], k)
+                    found.append((ids[who[i]], near, score))
+        query, near, score = (np.concatenate(x) for x in zip(*found))
+        order = np.lexsort((near, score, query))
+        query, near, score = query[order], near[order], score[order]
+        starts = np.flatnonzero(np.diff(query, prepend=-1 if not len(query) else query[0] - 1))
+        nth = np.arange(len(query)) - np.repeat(starts, np.diff(starts, append=len(query)))
+        best = nth < k
+        return pa.table({"query_id": query[best], "vec_id": near[best], "score": score[best]})
+
+    layout = spark.createDataFrame([(int(leaf), int(u - first_unit[leaf]), int(bundle_of[u])) for leaf in range(len(blocks)) for u in range(first_unit[leaf], first_unit[leaf] + blocks[leaf])], "leaf int, block long, bundle long")
+    parts = spark.createDataFrame([(i, int(x)) for i, x in enumerate(blocks)], "leaf int, blocks long")
+    held = placed.join(F.broadcast(parts), "leaf").withColumn("block", F.pmod(F.xxhash64("vec_id", F.lit(1)), F.col("blocks"))).join(layout, ["leaf", "block"]).select("vec_id", "embedding", "leaf", "bundle")
+    queries = placed.where("asked").select("vec_id", "embedding").mapInArrow(ask, f"query_id long, q {kind}, bundle long, leaves array<int>")
+    scored = queries.groupBy("bundle").cogroup(held.groupBy("bundle")).applyInArrow(compare, "query_id long, vec_id long, score double")
     return _top(scored, k).select("query_id", F.col("rank").cast("int"), "vec_id", "score")
 
 
