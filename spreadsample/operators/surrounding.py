@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -59,7 +61,7 @@ frame("op_project", lambda s, d: t(s, d, "part").select(F.col("p_partkey").alias
 sql("op_filter_box", "SELECT event_id, value FROM events WHERE value BETWEEN 100 AND 200 AND event_type IN ('click', 'view') AND user_id IS NOT NULL")
 sql("op_filter_like", "SELECT doc_id FROM documents WHERE text LIKE '%the %' AND NOT lang = 'fr' OR n_chars < 20")
 frame("op_filter_radius", lambda s, d: load(s, d, "latency").where((F.col("x") - 0.5) ** 2 + (F.col("y") - 0.1) ** 2 <= 0.01).select("id"), f"SELECT id FROM ({unit('latency')}) AS p WHERE (x - 0.5e0) * (x - 0.5e0) + (y - 0.1e0) * (y - 0.1e0) <= 0.01e0")
-sql("op_fn_math", "SELECT s_suppkey, round(exp(-s_suppkey / 10e0), 9) AS e, round(ln(s_suppkey), 9) AS l, round(log10(s_suppkey), 9) AS l10, round(sqrt(s_suppkey), 9) AS r, round(sin(s_suppkey) + cos(s_suppkey), 9) AS t, greatest(s_suppkey, 5) AS g, least(s_suppkey, 5) AS m FROM supplier")
+sql("op_fn_math", "SELECT s_suppkey, round(exp(-s_suppkey / 10e0), 9) AS e, round(ln(s_suppkey + 1), 9) AS l, round(log10(s_suppkey + 1), 9) AS l10, round(sqrt(s_suppkey), 9) AS r, round(sin(s_suppkey) + cos(s_suppkey), 9) AS t, greatest(s_suppkey, 5) AS g, least(s_suppkey, 5) AS m FROM supplier")
 _gc = "2 * 6371e0 * asin(sqrt(pow(sin(radians(lat2 - lat1) / 2), 2) + cos(radians(lat1)) * cos(radians(lat2)) * pow(sin(radians(lon2 - lon1) / 2), 2)))"
 sql("op_fn_great_circle", f"SELECT s_suppkey, round({_gc}, 6) AS km FROM (SELECT s_suppkey, s_suppkey % 90 AS lat1, s_suppkey % 180 AS lon1, 40e0 AS lat2, 116e0 AS lon2 FROM supplier) AS p")
 sql("op_fn_string", "SELECT n_nationkey, length(n_name) AS n, lower(n_name) AS l, substring(n_name, 1, 3) AS s3, concat(n_name, '-', n_regionkey) AS c, md5(n_name) AS h, replace(n_name, 'A', 'b') AS r FROM nation")
@@ -104,7 +106,7 @@ sql("op_agg_having", "SELECT o_custkey, count(*) AS n FROM orders GROUP BY o_cus
 for _kind in ("ROLLUP", "CUBE"):
     sql(f"op_agg_{_kind.lower()}", f"SELECT l_returnflag, l_linestatus, count(*) AS n FROM lineitem GROUP BY {_kind} (l_returnflag, l_linestatus)")
 sql("op_agg_grouping_sets", "SELECT l_returnflag, l_linestatus, count(*) AS n FROM lineitem GROUP BY GROUPING SETS ((l_returnflag), (l_linestatus), ())")
-frame("op_agg_pivot", lambda s, d: t(s, d, "lineitem").groupBy("l_linestatus").pivot("l_returnflag", ["A", "N", "R"]).agg(F.count("*")), "SELECT l_linestatus, count(*) FILTER (WHERE l_returnflag = 'A') AS A, count(*) FILTER (WHERE l_returnflag = 'N') AS N, count(*) FILTER (WHERE l_returnflag = 'R') AS R FROM lineitem GROUP BY 1")
+frame("op_agg_pivot", lambda s, d: t(s, d, "lineitem").groupBy("l_linestatus").pivot("l_returnflag", ["A", "N", "R"]).agg(F.count(F.lit(1))).na.fill(0), "SELECT l_linestatus, count(*) FILTER (WHERE l_returnflag = 'A') AS A, count(*) FILTER (WHERE l_returnflag = 'N') AS N, count(*) FILTER (WHERE l_returnflag = 'R') AS R FROM lineitem GROUP BY 1")
 frame("op_agg_unpivot", lambda s, d: t(s, d, "part").select("p_partkey", F.col("p_size").cast("double").alias("size"), F.col("p_retailprice").alias("price")).unpivot("p_partkey", ["size", "price"], "what", "v"), "SELECT p_partkey, 'size' AS what, CAST(p_size AS DOUBLE) AS v FROM part UNION ALL SELECT p_partkey, 'price', p_retailprice FROM part")
 
 # windows, order, sets, subqueries
@@ -127,9 +129,6 @@ sql("op_cte_recursive", "WITH RECURSIVE r(n, f) AS (SELECT 1, CAST(1 AS BIGINT)
 # functions of ours, table transforms, sampling, streams
 def scalar_udf(s: SparkSession, d: str) -> DataFrame:
     """The pair kernel as an Arrow function against the built-in expression."""
-    import numpy as np
-    import pandas as pd
-
     @F.pandas_udf("double")
     def kernel(x1: pd.Series, y1: pd.Series, x2: pd.Series, y2: pd.Series) -> pd.Series:
         return np.exp(-((x1 - x2) ** 2 + (y1 - y2) ** 2) / (2 * WIDE * WIDE))
@@ -144,9 +143,6 @@ frame("op_udf_scalar", scalar_udf, f"WITH s AS ({bottom('supp', 20)}) SELECT a.i
 
 
 def grouped_udf(s: SparkSession, d: str) -> DataFrame:
-    import numpy as np
-    import pandas as pd
-
     @F.pandas_udf("double")
     def objective(x: pd.Series, y: pd.Series) -> float:
         d2s = (x.values[:, None] - x.values) ** 2 + (y.values[:, None] - y.values) ** 2
@@ -160,14 +156,13 @@ frame("op_log_sum_exp", lambda s, d: t(s, d, "events").groupBy("event_type").agg
 
 
 def cogrouped(s: SparkSession, d: str) -> DataFrame:
-    import pandas as pd
-
     def both(a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
         key = a["category"].iloc[0] if len(a) else b["category"].iloc[0]
         return pd.DataFrame({"category": [key], "rows": [len(a)], "kept": [len(b)]})
 
     p = load(s, d, "latency").select("category", "id")
-    return p.groupBy("category").cogroup(bl.uniform(p, 100).groupBy("category")).applyInPandas(both, "category string, rows long, kept long")
+    kept = bl.uniform(p, 100).select(F.col("category").alias("category"), F.col("id").alias("kept_id")).toDF("category", "kept_id")
+    return p.groupBy("category").cogroup(durable(kept).groupBy("category")).applyInPandas(both, "category string, rows long, kept long")
 
 
 frame("op_transform_cogroup", cogrouped, f"SELECT p.category, count(*) AS rows, count(s.id) AS kept FROM ({unit('latency')}) AS p LEFT JOIN ({bottom('latency', 100)}) AS s ON p.id = s.id GROUP BY 1")

@@ -67,7 +67,7 @@ class SampleFunction:
 
     def eval(self, row, k: int, eps: float):
         if self.work is None:
-            self.work = WorkingSet(k, eps)
+            self.work = WorkingSet(int(k), float(eps))
         self.work.offer(np.array([row["id"]], object), np.array([row["x"]]), np.array([row["y"]]))
 
     def terminate(self):
