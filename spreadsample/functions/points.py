@@ -44,7 +44,7 @@ POINTS = {
 def raw_sql(name: str, duck: bool = False) -> str:
     first, second = ("embedding[1]", "embedding[2]") if duck else ("embedding[0]", "embedding[1]")
     text = POINTS[name].replace("{first}", first).replace("{second}", second)
-    return f"SELECT id, x, y, value, category FROM ({text}) AS raw WHERE x IS NOT NULL AND y IS NOT NULL AND NOT isnan(x) AND NOT isnan(y) AND abs(x) < 1e300 AND abs(y) < 1e300"
+    return f"SELECT id, x, y, value, category FROM ({text}) AS raw WHERE abs(x) < 1e300 AND abs(y) < 1e300"
 
 
 def unit_sql(name: str, duck: bool = False) -> str:
