@@ -75,9 +75,10 @@ def later_lines(docs: DataFrame, min_chars: int = MIN_CHARS) -> DataFrame:
     active = repeated_lines(line_rows(docs))
     place = lambda s: F.struct("did", F.col(s).alias("n"))
     found = active.where((F.col("w") >= min_chars) & (place("n") > F.col("first"))).select("did", "th", "n")
-    windows = durable(short_windows(active, min_chars))
+    once = active.dropDuplicates(["did", "th", "n"])  # rows that repeat both id and text stand at one place
+    windows = durable(short_windows(once, min_chars))
     longest = windows.agg(F.max("len")).first()[0] or 0
-    ranks, step = active.select("did", "th", "n", "r"), 1
+    ranks, step = once.select("did", "th", "n", "r"), 1
     while 2 * step <= longest:
         ranks, step = doubled(ranks, step), 2 * step
         here = windows.where((F.col("len") >= step) & (F.col("len") < 2 * step))

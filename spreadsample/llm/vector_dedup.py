@@ -21,7 +21,8 @@ from spreadsample.llm.common import components, durable
 from spreadsample.llm.simhash import merge_labels
 from spreadsample.llm.vectors import dimension, matrix, usable
 
-THRESHOLD, BLOCK, TILE, FIT_SAMPLE, LEAD = 0.9, 8192, 1024, 4096, 16
+#: Blocks are as large as BLOCK, or larger where there would be more than MOST_BLOCKS: their pairs are laid out on the driver.
+THRESHOLD, BLOCK, MOST_BLOCKS, TILE, FIT_SAMPLE, LEAD = 0.9, 8192, 1024, 1024, 4096, 16
 
 
 def principal_axes(sample: np.ndarray) -> np.ndarray:
@@ -100,7 +101,7 @@ def near_duplicates(vectors: DataFrame, threshold: float = THRESHOLD, block: int
     sample /= np.abs(sample).max(axis=1, keepdims=True)
     sample /= np.sqrt((sample * sample).sum(1))[:, None]
     axes = principal_axes(sample)
-    size = min(block, max(512, -(-n // 8)))
+    size = max(min(block, max(512, -(-n // 8))), -(-n // MOST_BLOCKS))
     cuts = np.quantile(sample @ axes[:, 0], np.linspace(0, 1, -(-n // size) + 1)[1:-1]) if n > size else np.zeros(0)
     lead = min(LEAD, d)
 

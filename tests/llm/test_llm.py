@@ -154,6 +154,12 @@ def test_line_dedup(spark, seed):
     assert [got[i] for i in range(len(texts))] == plain_dedup(texts)
 
 
+def test_line_dedup_of_repeated_rows(spark):
+    text = "\n".join(["a", "bb", "ccc", "dd", "e", "ff", "ggg", "hh", "i", "jj"])
+    rows = linededup.dedup_lines(docs(spark, [(1, text, "en", "s"), (1, text, "en", "s"), (2, text, "en", "s"), (None, text + "\nk", "en", "s"), (None, text, "en", "s")])).collect()
+    assert sorted((r["doc_id"] or 9, r["text"]) for r in rows) == [(1, text), (1, text), (2, ""), (9, ""), (9, "k")]
+
+
 def test_line_dedup_keeps_other_columns(spark):
     d = docs(spark, [(1, "x", "en", "s")]).withColumns({"n": F.lit(5), "gone": F.lit("g"), "th": F.lit(1), "n_lines": F.lit("old")})
     row = linededup.dedup_lines(d).first()
