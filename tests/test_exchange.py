@@ -114,3 +114,12 @@ def test_spread_beats_baselines_on_skewed_data(spark):
     ratio = lambda s: measures.log_ratio(p, s, at, 0.02).first()[0]
     spread, grid, uniform = ratio(ex.exchange(p, 80, 0.02)), ratio(baselines.balanced_grid(p, 80)), ratio(baselines.uniform(p, 80))
     assert spread < grid < uniform
+
+
+def test_tiles_are_even_and_many_tiles_keep_the_plan_small(spark):
+    p = frame(spark, [(i, (i * 37 % 1000) / 1000, (i * 91 % 997) / 997) for i in range(2000)])
+    sizes = [r["count"] for r in ex.tiles(p, 16).groupBy("grp").count().collect()]
+    assert sum(sizes) == 2000 and len(sizes) == 16 and max(sizes) <= 140
+    many = ex.tiles(p, 400)
+    assert many.count() == 2000 and len(many._jdf.queryExecution().optimizedPlan().toString()) < 20_000
+    assert ex.tiles(p.limit(0), 16).count() == 0
