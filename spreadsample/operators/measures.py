@@ -64,14 +64,40 @@ def probes(spark: SparkSession, m: int, oversample: int = 8) -> DataFrame:
 
 
 def domain_probes(points: DataFrame, m: int, radius: float = 0.1, oversample: int = 8) -> DataFrame:
-    """The first m probes that have a data row within radius. Rows are reduced to one per small cell side by side with their
-    exact place first: a cell keeps only distinct positions, so dense cells do not multiply the join."""
-    at = probes(points.sparkSession, m, oversample).select(F.col("probe_id").cast("string").alias("id"), F.col("px").alias("x"), F.col("py").alias("y"))
-    inside = near_pairs(points.select("id", "x", "y").dropDuplicates(["x", "y"]), at, radius).select("b_id").distinct()
-    kept = at.join(inside, at["id"] == inside["b_id"], "left_semi").select(F.col("id").cast("long").alias("probe_id"), F.col("x").alias("px"), F.col("y").alias("py"))
+    """The first m probes that have a data row within radius. One scan of the rows: the m * oversample probes travel with the tasks, and each
+    task returns the probes that it found a row for, at most one row per probe. Pairs of rows and probes are never made."""
+    at = probes(points.sparkSession, m, oversample)
+    fixed = np.array([tuple(r) for r in at.orderBy("probe_id").collect()], np.float64).reshape(-1, 3)  # their number is a parameter
+    near = points.where(F.col("x").between(-radius, 1 + radius) & F.col("y").between(-radius, 1 + radius)).select("x", "y")
+    found = near.mapInArrow(_probes_met(fixed[:, 1:], radius), "nth long").distinct()
+    kept = at.join(F.broadcast(found.select((F.col("nth") + int(fixed[0, 0] if len(fixed) else 0)).alias("probe_id"))), "probe_id", "left_semi")
     return kept.orderBy("probe_id").limit(m)
 
 
+def _probes_met(at: np.ndarray, radius: float):
+    """Positions of the probes that have a row within radius. Rows are taken by cells as wide as the radius and only compared with
+    probes of neighbouring cells that have met none so far."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        waiting, home = np.ones(len(at), bool), np.floor(at / radius).astype(np.int64)
+        for b in batches:
+            xy = np.column_stack((b.column(0).to_numpy(), b.column(1).to_numpy()))
+            if not len(xy):
+                continue
+            cells, inside = np.unique(np.floor(xy / radius).astype(np.int64), axis=0, return_inverse=True)
+            order = np.argsort(inside, kind="stable")
+            for cell, rows in zip(cells, np.split(order, np.cumsum(np.bincount(inside.ravel()))[:-1])):
+                for low in range(0, len(rows), 1024):
+                    who = np.flatnonzero(waiting & (np.abs(home - cell).max(axis=1) <= 1))
+                    if not len(who):
+                        break
+                    d = at[who, None, :] - xy[None, rows[low : low + 1024], :]
+                    waiting[who[(d[..., 0] * d[..., 0] + d[..., 1] * d[..., 1] <= radius * radius).any(axis=1)]] = False
+        yield pa.RecordBatch.from_arrays([pa.array(np.flatnonzero(~waiting))], ["nth"])
+
+    return run
+
+
 def point_loss(at: DataFrame, sample: DataFrame, eps: float, kernel: str = "gaussian") -> DataFrame:
     """(probe_id, log10_loss): the inverse of the kernel mass that the sample puts at each probe, as a logarithm: masses are
     added in log space, since far places have masses below the smallest double. Only for kernels that are exponentials of

@@ -3,8 +3,8 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
+from spreadsample.operators.density import nearest_counts
 from spreadsample.operators.exchange import rescan
 
 
@@ -37,7 +37,4 @@ def current(spark: SparkSession, path: str, upto: int | None = None) -> DataFram
 
 def density_upkeep(points: DataFrame, sample: DataFrame) -> DataFrame:
     """(id, rows) running counts of streamed rows by nearest member: a stream joined to a static sample."""
-    s = sample.select(F.col("id").alias("s_id"), F.col("x").alias("sx"), F.col("y").alias("sy"))
-    members = s.agg(F.collect_list(F.struct("sx", "sy", "s_id")).alias("members"))
-    nearest = F.array_min(F.transform("members", lambda m: F.struct(((F.col("x") - m["sx"]) ** 2 + (F.col("y") - m["sy"]) ** 2).alias("d2"), m["s_id"].alias("s_id"))))
-    return points.crossJoin(F.broadcast(members)).groupBy(nearest["s_id"].alias("id")).agg(F.count("*").alias("rows"))
+    return nearest_counts(sample, points, "rows")

@@ -123,3 +123,21 @@ def test_tiles_are_even_and_many_tiles_keep_the_plan_small(spark):
     many = ex.tiles(p, 400)
     assert many.count() == 2000 and len(many._jdf.queryExecution().optimizedPlan().toString()) < 20_000
     assert ex.tiles(p.limit(0), 16).count() == 0
+
+
+def test_domain_probes_are_those_with_a_row_in_reach(spark):
+    rng = np.random.default_rng(5)
+    rows = [(i, *p) for i, p in enumerate(rng.random((60, 2)) * [0.3, 1.4])] + [(60, 0.9, 0.9), (61, 0.9, 0.9), (62, -0.05, 0.5)]
+    p = frame(spark, rows).repartition(3)
+    all_probes = [tuple(r) for r in measures.probes(spark, 50, 8).collect()]
+    want = [q[0] for q in sorted(all_probes) if any((q[1] - x) ** 2 + (q[2] - y) ** 2 <= 0.01 for _, x, y in rows)][:50]
+    assert [r["probe_id"] for r in measures.domain_probes(p, 50, 0.1, 8).orderBy("probe_id").collect()] == want
+    assert measures.domain_probes(p.limit(0), 50).count() == 0
+
+
+def test_nearest_counts_of_all_ways_agree(spark):
+    p, s = frame(spark, [(i, i % 7, i % 5) for i in range(200)]), frame(spark, [("b", 1, 1), ("a", 3, 1), ("c", 50, 50)])
+    ways = [density.by_scan(s, p), density.by_index(s, p), density.by_index(s, p, "grid"), density.by_cells(s, p)]
+    found = [{r["id"]: r["density"] for r in w.collect()} for w in ways]
+    assert all(f == found[0] for f in found) and sum(found[0].values()) == 200 and found[0]["c"] == 0
+    assert density.by_scan(s.limit(0), p).count() == 0
