@@ -9,15 +9,16 @@ from spreadsample.operators import baselines as bl
 from spreadsample.operators import density, measures
 from spreadsample.operators import exchange as ex
 
-#: Rows above which a build starts from one row per micro cell, and goes through tiles.
+#: Rows above which a build goes through tiles.
 BLOCK_ROWS = 2_000_000
 
 
 def spread_sample(points: DataFrame, k: int, eps: float, rows: int, durable) -> DataFrame:
-    """The build for any size: one exact block while a task can read it in reasonable time, else thinned and tiled."""
+    """The build for any size: one exact block while a task can read it in reasonable time, else tiled. Every row is offered
+    at any size, so a sample has min(k, rows) rows."""
     if rows <= BLOCK_ROWS:
         return ex.exchange(points, k, eps, variant=ex.choose_variant(k, k * 100 * eps * eps))
-    return ex.exchange_tiles(durable(bl.prethin(points, eps).select("id", "x", "y")), k, eps, n_tiles=max(16, rows // BLOCK_ROWS))
+    return ex.exchange_tiles(durable(points.select("id", "x", "y")), k, eps, n_tiles=max(16, rows // BLOCK_ROWS), variant=ex.choose_variant(k, k * 100 * eps * eps))
 
 
 def build(spark: SparkSession, points: dict[str, DataFrame], ks: list[int], path: str, eps: float, durable, methods: tuple[str, ...] = ("uniform", "grid", "spread")) -> DataFrame:

@@ -141,3 +141,11 @@ def test_nearest_counts_of_all_ways_agree(spark):
     found = [{r["id"]: r["density"] for r in w.collect()} for w in ways]
     assert all(f == found[0] for f in found) and sum(found[0].values()) == 200 and found[0]["c"] == 0
     assert density.by_scan(s.limit(0), p).count() == 0
+
+
+def test_builds_beyond_a_block_offer_every_row(spark, monkeypatch):
+    monkeypatch.setattr(catalog, "BLOCK_ROWS", 100)
+    p = frame(spark, [(i, i % 10 / 1e4, i // 10 / 1e4) for i in range(400)])  # all within few micro cells
+    ids = [r["id"] for r in catalog.spread_sample(p, 150, 0.01, 400, lambda d: d.cache()).collect()]
+    assert len(ids) == len(set(ids)) == 150
+    assert catalog.spread_sample(p, 500, 0.01, 400, lambda d: d.cache()).count() == 400
