@@ -183,7 +183,7 @@ def pair_table(points: DataFrame, eps: float = WIDE) -> DataFrame:
     return measures.pair_values(points, eps)
 
 
-R.add("s_exchange_pairs", lambda s, d: ex.exchange_pairs(pair_table(uni(s, d, "supp", 20)), 4).agg(F.count("*").alias("n"), F.count_distinct("id").alias("ids")), "SELECT CAST(4 AS BIGINT) AS n, CAST(4 AS BIGINT) AS ids")
+R.add("s_exchange_pairs", lambda s, d: ex.exchange_pairs(pair_table(load(s, d, "supp")), 4).agg(F.count("*").alias("n"), F.count_distinct("id").alias("ids")), "SELECT CAST(4 AS BIGINT) AS n, CAST(4 AS BIGINT) AS ids")
 
 # --- greedy and exact
 GREEDY_SQL = f"""
@@ -249,7 +249,7 @@ R.add("c_trace", trace_checks, f"SELECT count(*) AS rows_seen, true AS never_ris
 
 
 def equivalence(s: SparkSession, d: str) -> DataFrame:
-    p = uni(s, d, "supp", 60)
+    p = load(s, d, "supp")
     ids = [ex.exchange(p, 6, WIDE, variant=v).select("id") for v in ("add_drop", "burden_test", "recompute")]
     same = ids[0].intersect(ids[1]).intersect(ids[2])
     return same.agg(F.count("*").alias("in_all"))

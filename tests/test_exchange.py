@@ -149,3 +149,16 @@ def test_builds_beyond_a_block_offer_every_row(spark, monkeypatch):
     ids = [r["id"] for r in catalog.spread_sample(p, 150, 0.01, 400, lambda d: d.cache()).collect()]
     assert len(ids) == len(set(ids)) == 150
     assert catalog.spread_sample(p, 500, 0.01, 400, lambda d: d.cache()).count() == 400
+
+
+def test_pair_exchange_and_equivalence_read_the_whole_point_set(spark, monkeypatch):
+    from spreadsample.functions.points import load
+    from spreadsample.operators import queries
+
+    sf, read = "/root/testdata/sf0.01", []
+    n = load(spark, sf, "supp").count()
+    for name in ("exchange_pairs", "exchange"):
+        monkeypatch.setattr(ex, name, lambda p, *a, f=getattr(ex, name), **b: read.append(p.count()) or f(p, *a, **b))
+    assert [tuple(r) for r in queries.R.queries["s_exchange_pairs"](spark, sf).collect()] == [(4, 4)]
+    assert [tuple(r) for r in queries.R.queries["c_equivalence"](spark, sf).collect()] == [(6,)]
+    assert n > 60 and read == [n * (n - 1) // 2, n, n, n]
