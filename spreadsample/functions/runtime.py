@@ -6,6 +6,10 @@ import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+#: Rows of a few narrow columns that a broadcast may hold.
+BROADCAST_ROWS = 200_000
 
 
 def shared_folder(spark: SparkSession) -> str:
@@ -23,3 +27,8 @@ def durable(df: DataFrame) -> DataFrame:
 
 def new_path(spark: SparkSession, kind: str) -> str:
     return f"{shared_folder(spark)}/{kind}-{uuid.uuid4().hex}"
+
+
+def bounded(df: DataFrame, rows: int) -> DataFrame:
+    """df, of at most `rows` rows, marked for a broadcast if that many may be broadcast; else left to the join's own way."""
+    return F.broadcast(df) if rows <= BROADCAST_ROWS else df

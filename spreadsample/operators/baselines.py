@@ -20,7 +20,7 @@ def uniform(points: DataFrame, k: int, seed: int = 7) -> DataFrame:
 
 
 def reservoir(points: DataFrame, k: int, seed: int = 7) -> DataFrame:
-    """One reservoir per partition, merged by exponential jumps' keys: every row draws a key, the k smallest stay."""
+    """One reservoir per partition: every row draws a key, the k smallest stay; partitions merge by keys."""
 
     def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rng, held, keys = None, None, np.zeros(0)

@@ -35,53 +35,78 @@ def _attach(sample: DataFrame, counts: DataFrame) -> DataFrame:
 
 
 class GridIndex:
-    """Nearest member by rings of grid cells around a row, until no nearer one can follow."""
+    """Nearest member by rings of grid cells around a row, for all rows of a batch at once, until no nearer member can follow."""
 
     def __init__(self, x: np.ndarray, y: np.ndarray):
         self.x, self.y = x, y
-        self.low = np.array([x.min(), y.min()])
+        self.low = x.min(), y.min()
         extent = max(x.max() - x.min(), y.max() - y.min(), 1e-300)
         self.side = max(1, int(np.sqrt(len(x))))
         self.width = extent / self.side
-        self.cells: dict[tuple[int, int], list[int]] = {}
-        for i, c in enumerate(zip(*self._cell(x, y))):
-            self.cells.setdefault(c, []).append(i)
+        keys = self._key(*self._cell(x, y))
+        self.order = np.argsort(keys, kind="stable")
+        self.keys = keys[self.order]
 
     def _cell(self, x, y):
-        return tuple(np.floor((v - l) / self.width).astype(int).tolist() for v, l in zip((x, y), self.low))
+        return tuple(np.clip(np.floor((v - low) / self.width), -1, self.side + 1).astype(np.int64) for v, low in zip((x, y), self.low))
+
+    def _key(self, cx, cy):
+        return (cx + 2 * self.side + 4) * (8 * self.side + 16) + cy + 2 * self.side + 4
 
     def nearest(self, x: np.ndarray, y: np.ndarray) -> np.ndarray:
-        out = np.empty(len(x), np.int64)
-        for n, (cx, cy) in enumerate(zip(*self._cell(x, y))):
-            best, at, ring = np.inf, -1, max(0, -cx - 1, -cy - 1, cx - self.side - 1, cy - self.side - 1)
-            while best > (max(0, ring - 1) * self.width) ** 2 or at < 0:
-                for a in range(cx - ring, cx + ring + 1):
-                    for b in range(cy - ring, cy + ring + 1) if abs(a - cx) == ring else (cy - ring, cy + ring):
-                        for i in self.cells.get((a, b), ()):
-                            d2 = (self.x[i] - x[n]) ** 2 + (self.y[i] - y[n]) ** 2
-                            if d2 < best or d2 == best and i < at:
-                                best, at = d2, i
-                ring += 1
-            out[n] = at
-        return out
+        best, at = np.full(len(x), np.inf), np.full(len(x), len(self.x), np.int64)
+        cx, cy = self._cell(x, y)
+        todo = np.arange(len(x))
+        for ring in range(self.side + 3):  # rings reach every cell from any place
+            for a, b in [(a, b) for a in range(-ring, ring + 1) for b in (range(-ring, ring + 1) if abs(a) == ring else sorted({-ring, ring}))]:
+                key = self._key(cx[todo] + a, cy[todo] + b)
+                lo, hi = self.keys.searchsorted(key), self.keys.searchsorted(key, "right")
+                for some in np.array_split(np.arange(len(todo)), -(-int((hi - lo).sum()) // (1 << 20)) or 1):
+                    size = hi[some] - lo[some]
+                    row = np.repeat(todo[some], size)
+                    who = self.order[np.repeat(lo[some] - np.cumsum(size) + size, size) + np.arange(size.sum())]
+                    d2 = (x[row] - self.x[who]) ** 2 + (y[row] - self.y[who]) ** 2
+                    before = best[row]
+                    np.minimum.at(best, row, d2)
+                    at[row[best[row] < before]] = len(self.x)
+                    win = d2 == best[row]
+                    np.minimum.at(at, row[win], who[win])
+            todo = todo[best[todo] >= (ring * self.width) ** 2]
+            if not len(todo):
+                break
+        return at
 
 
 class TreeIndex:
-    """Nearest member by a k-d tree: alternate halves down to small leaves, descended for many rows at once."""
+    """Nearest member by a k-d tree, built once: alternate halves down to small leaves, descended for many rows at once."""
 
     def __init__(self, x: np.ndarray, y: np.ndarray, leaf: int = 32):
         self.p, self.leaf = np.column_stack((x, y)), leaf
+        self.nodes: list[tuple] = []
+        self._grow(np.arange(len(self.p)), 0)
+
+    def _grow(self, members: np.ndarray, axis: int) -> int:
+        """Adds the node of some members: (members,) for a leaf, else (axis, cut, left, right)."""
+        node = len(self.nodes)
+        self.nodes.append((members,))
+        if len(members) > self.leaf:
+            half = len(members) // 2
+            order = members[np.argpartition(self.p[members, axis], half)]
+            cut = self.p[order[half], axis]
+            self.nodes[node] = axis, cut, self._grow(order[:half], 1 - axis), self._grow(order[half:], 1 - axis)
+        return node
 
     def nearest(self, x: np.ndarray, y: np.ndarray) -> np.ndarray:
         q = np.column_stack((x, y))
         best, at = np.full(len(q), np.inf), np.full(len(q), len(self.p), np.int64)
-        self._down(np.arange(len(self.p)), np.arange(len(q)), q, best, at, 0)
+        self._down(0, np.arange(len(q)), q, best, at)
         return at
 
-    def _down(self, members, rows, q, best, at, axis) -> None:
+    def _down(self, node, rows, q, best, at) -> None:
         if not len(rows):
             return
-        if len(members) <= self.leaf:
+        if len(self.nodes[node]) == 1:
+            (members,) = self.nodes[node]
             for lo in range(0, len(rows), 4096):
                 r = rows[lo : lo + 4096]
                 d2 = ((q[r, None, :] - self.p[None, members, :]) ** 2).sum(2)
@@ -90,14 +115,12 @@ class TreeIndex:
                 win = (least < best[r]) | (least == best[r]) & (who < at[r])
                 best[r[win]], at[r[win]] = least[win], who[win]
             return
-        order = members[np.argsort(self.p[members, axis], kind="stable")]
-        half = len(order) // 2
-        cut = self.p[order[half], axis]
+        axis, cut, low, high = self.nodes[node]
         left = q[rows, axis] < cut
-        for first, near, far in ((left, order[:half], order[half:]), (~left, order[half:], order[:half])):
+        for first, near, far in ((left, low, high), (~left, high, low)):
             mine = rows[first]
-            self._down(near, mine, q, best, at, 1 - axis)
-            self._down(far, mine[(q[mine, axis] - cut) ** 2 <= best[mine]], q, best, at, 1 - axis)
+            self._down(near, mine, q, best, at)
+            self._down(far, mine[(q[mine, axis] - cut) ** 2 <= best[mine]], q, best, at)
 
 
 def by_index(sample: DataFrame, points: DataFrame, how: str = "kdtree") -> DataFrame:

@@ -11,12 +11,12 @@ from pyspark.sql import functions as F
 
 from spreadsample.functions import kernels
 
-#: Sample rows that a broadcast may hold (three doubles each); beyond, pairs meet by cell.
-BROADCAST_ROWS, LN10 = 200_000, float(np.log(10))
+LN10 = float(np.log(10))
 
 
 def pair_values(sample: DataFrame, eps: float, kernel: str = "pair") -> DataFrame:
-    """(i, j, k) for i < j: all unordered pairs of a sample and their proximity."""
+    """(i, j, k) for i < j: all unordered pairs of a sample and their proximity. Quadratic by nature, for samples of some thousands; larger ones
+    go by cells."""
     a, b = (sample.select(F.col("id").alias(i), F.col("x").alias(f"{i}x"), F.col("y").alias(f"{i}y")) for i in "ij")
     return a.join(b, F.col("i") < F.col("j")).select("i", "j", kernels.column(kernel, kernels.squared("ix", "iy", "jx", "jy"), eps).alias("k"))
 
@@ -57,6 +57,13 @@ def burdens(sample: DataFrame, eps: float, kernel: str = "pair") -> DataFrame:
     return sample.select("id").join(sides.groupBy("id").agg(F.sum("k").alias("b")), "id", "left").select("id", F.coalesce("b", F.lit(0.0)).alias("burden"))
 
 
+def burdens_by_cells(sample: DataFrame, eps: float, kernel: str = "pair", tol: float = kernels.DEFAULT_TOL) -> DataFrame:
+    """Burdens without pairs whose proximity is below tol: members meet by cells, so there are as many rows as near pairs."""
+    pairs = near_pairs(sample, sample, kernels.cutoff(kernel, eps, tol)).where("a_id != b_id")
+    near = pairs.groupBy(F.col("a_id").alias("id")).agg(F.sum(kernels.column(kernel, F.col("d2"), eps)).alias("b"))
+    return sample.select("id").join(near, "id", "left").select("id", F.coalesce("b", F.lit(0.0)).alias("burden"))
+
+
 def probes(spark: SparkSession, m: int, oversample: int = 8) -> DataFrame:
     """(probe_id, px, py): m * oversample places of a two-dimensional low-discrepancy sequence in the unit box."""
     frac = lambda c: c - F.floor(c)
@@ -98,30 +105,39 @@ def _probes_met(at: np.ndarray, radius: float):
     return run
 
 
-def point_loss(at: DataFrame, sample: DataFrame, eps: float, kernel: str = "gaussian") -> DataFrame:
-    """(probe_id, log10_loss): the inverse of the kernel mass that the sample puts at each probe, as a logarithm: masses are
-    added in log space, since far places have masses below the smallest double. Only for kernels that are exponentials of
-    a distance. The sample is a bounded table of k rows; larger data go through log_mass."""
-    if kernel not in ("gaussian", "pair", "laplacian"):
-        raise ValueError("the log form needs an exponential kernel")
-    d2 = kernels.squared("px", "py", "x", "y")
-    a = {"gaussian": -d2 / (eps * eps), "pair": -d2 / (2 * eps * eps), "laplacian": -F.sqrt(d2) / eps}[kernel]
-    pairs = at.crossJoin(sample.select("x", "y")).select("probe_id", a.alias("a"))
-    top = pairs.groupBy("probe_id").agg(F.max("a").alias("top"))
-    sums = pairs.join(top, "probe_id").groupBy("probe_id", "top").agg(F.sum(F.exp(F.col("a") - F.col("top"))).alias("s"))
-    return sums.select("probe_id", (-(F.col("top") + F.ln("s")) / LN10).alias("log10_loss"))
+#: Kernels that are exponentials of a distance: the exponent, by squared distance.
+EXPONENTS = {"gaussian": lambda d2, e: -d2 / (e * e), "pair": lambda d2, e: -d2 / (2 * e * e), "laplacian": lambda d2, e: -np.sqrt(d2) / e}
+
+
+def fixed_places(at: DataFrame) -> tuple[np.ndarray, DataFrame]:
+    """Places (probe_id, px, py) as an array, and (probe, probe_id): their number is a parameter, so they may come to the driver."""
+    rows = at.orderBy("probe_id").collect()
+    names = at.sparkSession.createDataFrame([(n, r["probe_id"]) for n, r in enumerate(rows)], "probe long, probe_id long")
+    return np.array([(r["px"], r["py"]) for r in rows], float).reshape(-1, 2), names
 
 
-def log_mass(at: np.ndarray, rows: DataFrame, eps: float) -> DataFrame:
+def point_loss(at: DataFrame, rows: DataFrame, eps: float, kernel: str = "gaussian") -> DataFrame:
+    """(probe_id, log10_loss): the inverse of the kernel mass that rows, a sample or all of them, put at each probe, as a logarithm: masses
+    are added in log space, since far places have masses below the smallest double."""
+    places, names = fixed_places(at)
+    return log_mass(places, rows, eps, kernel).join(F.broadcast(names), "probe").select("probe_id", (-(F.col("top") + F.ln("s")) / LN10).alias("log10_loss"))
+
+
+def log_mass(at: np.ndarray, rows: DataFrame, eps: float, kernel: str = "gaussian") -> DataFrame:
     """(probe, top, s): kernel mass of any number of rows at a bounded set of probes, as exp(top) * s. One pass over rows; each
     task returns one row per probe, and pairs of rows and probes are never made."""
+    if kernel not in EXPONENTS:
+        raise ValueError("the log form needs an exponential kernel")
+    exponent = EXPONENTS[kernel]
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         top, s = np.full(len(at), -np.inf), np.zeros(len(at))
+        step = max(16, (1 << 16) // max(1, len(at)))
         for b in batches:
-            xy = np.column_stack((b.column(0).to_numpy(), b.column(1).to_numpy()))
-            for low in range(0, len(xy), 1024):
-                a = -(((at[:, None, :] - xy[None, low : low + 1024, :]) ** 2).sum(2)) / (eps * eps)
+            x, y = b.column(0).to_numpy(), b.column(1).to_numpy()
+            for low in range(0, len(x), step):
+                dx, dy = at[:, :1] - x[low : low + step], at[:, 1:] - y[low : low + step]
+                a = exponent(dx * dx + dy * dy, eps)
                 new = np.maximum(top, a.max(axis=1))
                 s = s * np.exp(np.where(np.isinf(top), -np.inf, top - new)) + np.exp(a - new[:, None]).sum(axis=1)
                 top = new
@@ -133,6 +149,24 @@ def log_mass(at: np.ndarray, rows: DataFrame, eps: float) -> DataFrame:
     return parts.withColumn("best", F.max("top").over(best)).groupBy("probe", "best").agg(F.sum(F.col("s") * F.exp(F.col("top") - F.col("best"))).alias("s")).select("probe", F.col("best").alias("top"), "s")
 
 
+def mass(at: DataFrame, rows: DataFrame, eps: float, kernel: str = "gaussian") -> DataFrame:
+    """(probe, u, own): kernel mass at each place of a bounded set, and the sum of its squared parts; one pass over rows, and a task returns
+    one row per place."""
+    places, _ = fixed_places(at)
+
+    def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        u, own, step = np.zeros(len(places)), np.zeros(len(places)), max(16, (1 << 16) // max(1, len(places)))
+        for b in batches:
+            x, y = b.column(0).to_numpy(), b.column(1).to_numpy()
+            for low in range(0, len(x), step):
+                dx, dy = places[:, :1] - x[low : low + step], places[:, 1:] - y[low : low + step]
+                k = kernels.values(kernel, dx * dx + dy * dy, eps)
+                u, own = u + k.sum(axis=1), own + (k * k).sum(axis=1)
+        yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(places))), pa.array(u), pa.array(own)], ["probe", "u", "own"])
+
+    return rows.select("x", "y").mapInArrow(scan, "probe long, u double, own double").groupBy("probe").agg(F.sum("u").alias("u"), F.sum("own").alias("own"))
+
+
 def average_loss(losses: DataFrame, stat: str = "median") -> DataFrame:
     """(log10_loss): the median of point losses, or their mean, added in log space."""
     if stat == "median":
@@ -143,11 +177,7 @@ def average_loss(losses: DataFrame, stat: str = "median") -> DataFrame:
 
 def log_ratio(points: DataFrame, sample: DataFrame, at: DataFrame, eps: float, stat: str = "median") -> DataFrame:
     """(log_ratio): log10 of the sample's loss over the loss of all rows at the same probes; 0 is best."""
-    fixed = at.orderBy("probe_id").collect()  # the number of probes is a parameter
-    places, ids = np.array([r[1:3] for r in fixed]).reshape(-1, 2), [r[0] for r in fixed]
-    names = points.sparkSession.createDataFrame(list(enumerate(ids)), "probe long, probe_id long")
-    losses = lambda rows: log_mass(places, rows, eps).join(F.broadcast(names), "probe").select("probe_id", (-(F.col("top") + F.ln("s")) / LN10).alias("log10_loss"))
-    one, all_rows = average_loss(losses(sample), stat), average_loss(losses(points), stat).withColumnRenamed("log10_loss", "base")
+    one, all_rows = average_loss(point_loss(at, sample, eps), stat), average_loss(point_loss(at, points, eps), stat).withColumnRenamed("log10_loss", "base")
     return one.crossJoin(all_rows).select((F.col("log10_loss") - F.col("base")).alias("log_ratio"))
 
 
@@ -156,10 +186,6 @@ def grid(spark: SparkSession, g: int) -> DataFrame:
     return spark.range(g * g).select(F.col("id").alias("probe_id"), ((F.floor(F.col("id") / g) + 0.5) / g).alias("px"), ((F.col("id") % g + 0.5) / g).alias("py"))
 
 
-def mass(at: DataFrame, sample: DataFrame, eps: float, kernel: str = "gaussian") -> DataFrame:
-    return at.crossJoin(sample.select("x", "y")).groupBy("probe_id").agg(F.sum(kernels.column(kernel, kernels.squared("px", "py", "x", "y"), eps)).alias("u"))
-
-
 def integral_loss(at: DataFrame, sample: DataFrame, eps: float, floor: float = 1e-12) -> DataFrame:
     """(loss): the mean over a grid of 1 / max(mass, floor), the integral over the unit box."""
     return mass(at, sample, eps).agg(F.avg(1 / F.greatest("u", F.lit(floor))).alias("loss"))
@@ -169,17 +195,34 @@ def surrogate(at: DataFrame, sample: DataFrame, eps: float) -> DataFrame:
     """(second_order, reduced, pair_sum): means over the grid of the expansion about mass 1 and of its rewritten forms; the last is what the
     squares of the mass add up to in pairs."""
     u = F.col("u")
-    pairs = at.crossJoin(sample.select("x", "y")).withColumn("k", kernels.column("gaussian", kernels.squared("px", "py", "x", "y"), eps)).groupBy("probe_id").agg(F.sum("k").alias("u"), F.sum(F.col("k") * F.col("k")).alias("own"))
-    return pairs.agg(F.avg((u - 1) * (u - 1) - (u - 1) + 1).alias("second_order"), F.avg(u * u - 3 * u).alias("reduced"), F.avg((u * u - F.col("own")) / 2).alias("pair_sum"))
-
-
-def spearman(df: DataFrame, a: str, b: str) -> DataFrame:
-    """(rho, t, n): rank correlation with average ranks at ties, and the t statistic with n - 2 degrees of freedom. Ranks need a total
-    order: for small result tables."""
-    rank = lambda c: F.rank().over(Window.orderBy(c)) + (F.count("*").over(Window.partitionBy(c)) - 1) / 2
-    ranked = df.select(rank(a).cast("double").alias("ra"), rank(b).cast("double").alias("rb"))
-    out = ranked.agg(F.corr("ra", "rb").alias("rho"), F.count("*").alias("n"))
-    return out.select("rho", (F.col("rho") * F.sqrt((F.col("n") - 2) / (1 - F.col("rho") * F.col("rho")))).alias("t"), "n")
+    return mass(at, sample, eps).agg(F.avg((u - 1) * (u - 1) - (u - 1) + 1).alias("second_order"), F.avg(u * u - 3 * u).alias("reduced"), F.avg((u * u - F.col("own")) / 2).alias("pair_sum"))
+
+
+def average_ranks(df: DataFrame, column: str, durable=None) -> DataFrame:
+    """(value, n, rank): each distinct value of a column, how often it occurs, and the average rank of its rows. Values are counted, then
+    numbered range by range, and a range starts after the counts of the ranges below: no task sorts the whole column."""
+    keep = durable or (lambda x: x.checkpoint())
+    counted = df.groupBy(F.col(column).alias("value")).agg(F.count("*").alias("n"))
+    ranged = keep(counted.repartitionByRange("value").withColumn("range", F.spark_partition_id()))
+    sizes = ranged.groupBy("range").agg(F.sum("n").alias("size"))
+    below = sizes.select("range", (F.sum("size").over(Window.orderBy("range")) - F.col("size")).alias("below"))  # a row per range
+    upto = F.sum("n").over(Window.partitionBy("range").orderBy("value"))
+    return ranged.join(F.broadcast(below), "range").select("value", "n", (F.col("below") + upto - (F.col("n") - 1) / 2).alias("rank"))
+
+
+def spearman(df: DataFrame, a: str, b: str, durable=None) -> DataFrame:
+    """(rho, t, n): rank correlation with average ranks at ties, and the t statistic with n - 2 degrees of freedom. Equal pairs of values are
+    one row with a count, which meets the ranks of its two values."""
+    pairs = df.groupBy(F.col(a).alias("a"), F.col(b).alias("b")).agg(F.count("*").alias("c"))
+    rank = lambda c: average_ranks(df, c, durable).select("value", "rank")
+    met = pairs.join(rank(a).toDF("a", "x"), "a").join(rank(b).toDF("b", "y"), "b")
+    w = lambda e: F.sum(F.col("c") * e)
+    n, sxx, syy, sxy = (F.col(c) for c in ("n", "sxx", "syy", "sxy"))
+    mid = df.agg(((F.count("*") + 1) / 2).alias("mid"))  # ranks are taken from their mean, which they all share
+    x, y = F.col("x") - F.col("mid"), F.col("y") - F.col("mid")
+    sums = met.join(F.broadcast(mid)).agg(F.sum("c").alias("n"), w(x * x).alias("sxx"), w(y * y).alias("syy"), w(x * y).alias("sxy"))
+    out = sums.select((sxy / F.sqrt(sxx * syy)).alias("rho"), "n")
+    return out.select("rho", (F.col("rho") * F.sqrt((n - 2) / (1 - F.col("rho") * F.col("rho")))).alias("t"), "n")
 
 
 def t_tail(t: float, dof: int, steps: int = 20_000) -> float:

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+import time
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -13,6 +14,7 @@ from spreadsample.functions.runtime import durable
 from spreadsample.operators import baselines as bl
 from spreadsample.operators import certify, density, exact, measures, render
 from spreadsample.operators import exchange as ex
+from spreadsample.plans import catalog
 from spreadsample.registry import Registry
 
 EPS, WIDE = math.sqrt(2) / 100, 0.1
@@ -101,8 +103,8 @@ R.add("m_avg_objective", lambda s, d: rounded(measures.average_objective(uni(s,
 R.add("m_burden", lambda s, d: rounded(measures.burdens(uni(s, d, "docs", 40), WIDE), "burden"), f"WITH s AS ({bottom('docs', 40)}) SELECT a.id, round(sum(CASE WHEN a.id <> b.id THEN {kernels.sql('pair', d2('a', 'b'), WIDE)} ELSE 0 END), 6) AS burden FROM s a, s b GROUP BY a.id")
 R.add("m_surrogate_stages", lambda s, d: rounded(measures.surrogate(measures.grid(s, 20), uni(s, d, "docs", 50), WIDE), "second_order", "reduced", "pair_sum"), f"SELECT round(avg((u - 1) * (u - 1) - (u - 1) + 1), 6) AS second_order, round(avg(u * u - 3 * u), 6) AS reduced, round(avg((u * u - own) / 2), 6) AS pair_sum FROM ({_mass}) AS m")
 SPEARMAN = "SELECT round(rho, 8) AS rho, round(rho * sqrt((n - 2) / (1 - rho * rho)), 6) AS t, n FROM (SELECT corr(ra, rb) AS rho, count(*) AS n FROM (SELECT rank() OVER (ORDER BY a) + (count(*) OVER (PARTITION BY a) - 1) / 2e0 AS ra, rank() OVER (ORDER BY b) + (count(*) OVER (PARTITION BY b) - 1) / 2e0 AS rb FROM ({0}) AS v) AS w) AS z"
-R.add("m_spearman_printed", lambda s, d: measures.spearman(s.createDataFrame(PRINTED_PAIRS, "a double, b double"), "a", "b").select(F.round("rho", 8).alias("rho"), F.round("t", 6).alias("t"), "n"), SPEARMAN.format("SELECT * FROM (VALUES " + ", ".join(f"({a}e0, {b}e0)" for a, b in PRINTED_PAIRS) + ") AS t(a, b)"))
-R.add("m_spearman_ties", lambda s, d: measures.spearman(uni(s, d, "discount", 400).select(F.col("x").alias("a"), F.col("value").alias("b")), "a", "b").select(F.round("rho", 8).alias("rho"), F.round("t", 6).alias("t"), "n"), SPEARMAN.format(f"SELECT x AS a, value AS b FROM ({bottom('discount', 400)}) AS u"))
+R.add("m_spearman_printed", lambda s, d: measures.spearman(s.createDataFrame(PRINTED_PAIRS, "a double, b double"), "a", "b", durable).select(F.round("rho", 8).alias("rho"), F.round("t", 6).alias("t"), "n"), SPEARMAN.format("SELECT * FROM (VALUES " + ", ".join(f"({a}e0, {b}e0)" for a, b in PRINTED_PAIRS) + ") AS t(a, b)"))
+R.add("m_spearman_ties", lambda s, d: measures.spearman(load(s, d, "discount").select(F.col("x").alias("a"), F.col("value").alias("b")), "a", "b", durable).select(F.round("rho", 8).alias("rho"), F.round("t", 6).alias("t"), "n"), SPEARMAN.format(f"SELECT x AS a, value AS b FROM ({unit('discount')}) AS u"))
 
 # --- baselines
 ROW = lambda df: rounded(df.select("id", "x", "y", "value", "category"), "x", "y", "value")
@@ -146,7 +148,7 @@ def exchange_sql(points: str, k: int, eps: float) -> str:
 
 
 BURDENS = lambda df: rounded(df.select("id", "x", "y", "burden"), "x", "y", "burden")
-for _name, _points, _kk, _opt in (("s_exchange_supplier", "supp", 5, {}), ("s_exchange_part", "part", 12, {}), ("s_exchange_burden_test", "supp", 5, {"variant": "burden_test"}), ("s_exchange_recompute", "supp", 5, {"variant": "recompute"}), ("s_exchange_local_small", "supp", 5, {"variant": "local", "tol": 1e-300})):
+for _name, _points, _kk, _opt in (("s_exchange_supplier", "supp", 5, {}), ("s_exchange_part", "part", 12, {}), ("s_exchange_burden_test", "supp", 5, {"variant": "burden_test"}), ("s_exchange_recompute", "supp", 5, {"variant": "recompute"}), ("s_exchange_local_small", "supp", 5, {"variant": "local", "tol": 1e-300}), ("s_exchange_grid_heap", "supp", 5, {"variant": "heap", "tol": 1e-300})):
     R.add(_name, lambda s, d, p=_points, k=_kk, o=_opt: BURDENS(ex.exchange(load(s, d, p), k, WIDE, **o)), exchange_sql(unit(_points) if _points == "supp" else bottom("part", 100000), _kk, WIDE))
 
 
@@ -169,12 +171,31 @@ HOW = {
     "s_exchange_tree": lambda p: ex.exchange_tree(p, 100, EPS, durable=durable),
     "s_exchange_random_parts": lambda p: ex.exchange_random_parts(p, 100, EPS),
     "s_exchange_two_pass": lambda p: ex.rescan(p, durable(ex.exchange(p, 100, EPS)), 100, EPS),
-    "s_exchange_timed": lambda p: ex.exchange_until_stable(p, 100, EPS, max_passes=3, max_seconds=1.0, durable=durable)[0],
     "s_exchange_prethinned": lambda p: ex.exchange_tiles(bl.prethin(p, EPS).select("id", "x", "y"), 100, EPS),
-    "s_exchange_greedy_start": lambda p: ex.rescan(p, durable(bl.uniform(p, 100).select("id", "x", "y")), 100, EPS),
+    "s_exchange_heap": lambda p: ex.exchange(p, 100, EPS, variant="heap"),
+    "s_exchange_greedy_start": lambda p: ex.rescan(p, durable(ex.greedy_start(p, 100, EPS)), 100, EPS),
 }
 for _name, _how in HOW.items():
     R.add(_name, lambda s, d, h=_how: judged(p := load(s, d, "latency"), h(p), 100, EPS), judged_sql("latency", 100))
+
+
+def timed(s: SparkSession, d: str, seconds: float = 1.0) -> DataFrame:
+    """A build that is stopped by the clock: its sample is whole, and its scans kept to the bound (the rest is the starting of jobs)."""
+    points, began = load(s, d, "latency"), time.time()
+    sample = durable(ex.exchange_until_stable(points, 100, EPS, max_passes=3, max_seconds=seconds, durable=durable)[0])
+    return judged(points, sample, 100, EPS).withColumn("in_time", F.lit(time.time() - began < seconds + 60))
+
+
+def large(points: DataFrame, tiled: bool, k: int = 10_000, eps: float = EPS / 20) -> DataFrame:
+    build = ex.exchange_tiles(durable(points.select("id", "x", "y")), k, eps, variant="heap") if tiled else catalog.spread_sample(points, k, eps, points.count(), durable)
+    return judged(points, build, k, eps)
+
+
+R.add("s_exchange_timed", timed, f"SELECT *, true AS in_time FROM ({judged_sql('latency', 100)}) AS j")
+R.add("s_build_large_k", lambda s, d: large(load(s, d, "hubs"), False), judged_sql("hubs", 10_000))
+R.add("s_build_large_k_tiles", lambda s, d: large(load(s, d, "hubs"), True), judged_sql("hubs", 10_000))
+R.add("s_hydrate", lambda s, d: ex.hydrate(s.read.parquet(f"{d}/events.parquet"), durable(ex.exchange(load(s, d, "latency"), 50, EPS)), 50, "event_id").agg(F.count("*").alias("n"), F.count_distinct("event_id").alias("ids"), F.max("sample_rank").alias("top_rank"), F.bool_and(F.col("value").isNotNull()).alias("whole")), "SELECT least(50, count(*)) AS n, least(50, count(*)) AS ids, CAST(least(50, count(*)) AS INT) AS top_rank, true AS whole FROM events")
+R.add("s_choose_variant", lambda s, d: s.createDataFrame([(k, n, ex.choose_variant(k, float(n))) for k, n in ((100, 50), (100, 1), (5000, 30), (5000, 5000), (100_000, 60))], "k int, neighbours int, variant string"), "SELECT * FROM (VALUES (100, 50, 'add_drop'), (100, 1, 'local'), (5000, 30, 'local'), (5000, 5000, 'add_drop'), (100000, 60, 'heap')) AS t(k, neighbours, variant)")
 R.add("s_exchange_stable", lambda s, d: certify.improving_swaps(p := load(s, d, "supp"), durable(ex.exchange_until_stable(p, 6, WIDE, durable=durable)[0]), WIDE), "SELECT CAST(0 AS BIGINT) AS swaps")
 R.add("s_exchange_per_group", lambda s, d: ex.exchange_per_group(load(s, d, "latency"), 20, EPS, "category").groupBy("category").agg(F.count("*").alias("n")), "SELECT event_type AS category, least(20, count(*)) AS n FROM events GROUP BY event_type")
 
@@ -187,7 +208,7 @@ R.add("s_exchange_pairs", lambda s, d: ex.exchange_pairs(pair_table(load(s, d, "
 
 # --- greedy and exact
 GREEDY_SQL = f"""
-WITH RECURSIVE p AS ({bottom('supp', 60)}),
+WITH RECURSIVE p AS ({unit('supp')}),
 st AS (
   SELECT 0 AS nth, CAST([] AS STRUCT(id VARCHAR, x DOUBLE, y DOUBLE)[]) AS s, CAST(NULL AS STRUCT(p DOUBLE, id VARCHAR, x DOUBLE, y DOUBLE)) AS best
   UNION ALL
@@ -195,10 +216,10 @@ st AS (
     SELECT nth, s, (SELECT min({{'p': coalesce(list_sum(list_transform(st.s, lambda m: exp(-((m.x - p.x) ** 2 + (m.y - p.y) ** 2) / {2 * WIDE * WIDE!r}))), 0e0), 'id': p.id, 'x': p.x, 'y': p.y}})
                     FROM p WHERE NOT list_contains(list_transform(st.s, lambda m: m.id), p.id)) AS b FROM st WHERE nth < 6) AS q)
 SELECT best.id AS id, nth, round(best.p, 6) AS added FROM st WHERE nth > 0"""
-R.add("s_greedy_supplier", lambda s, d: rounded(exact.greedy(uni(s, d, "supp", 60), 6, WIDE, durable=durable), "added"), GREEDY_SQL)
+R.add("s_greedy_supplier", lambda s, d: rounded(exact.greedy(load(s, d, "supp"), 6, WIDE, durable=durable), "added"), GREEDY_SQL)
 _supp = lambda k: _pairs("supp", k, WIDE)
 K3_SQL = f"WITH p AS ({_supp(30)}) SELECT ab.i AS a, ab.j AS b, ac.j AS c, ab.k + ac.k + bc.k AS objective FROM p ab JOIN p ac ON ab.i = ac.i JOIN p bc ON bc.i = ab.j AND bc.j = ac.j ORDER BY objective, a, b, c LIMIT 1"
-R.add("s_exact_k2", lambda s, d: rounded(exact.exact_2(uni(s, d, "supp", 60), WIDE), "objective", digits=12), f"SELECT i AS a, j AS b, round(k, 12) AS objective FROM ({_supp(60)}) AS p ORDER BY k, i, j LIMIT 1")
+R.add("s_exact_k2", lambda s, d: rounded(exact.exact_2(load(s, d, "supp"), WIDE), "objective", digits=12), f"WITH p AS ({unit('supp')}) SELECT a.id AS a, b.id AS b, round({kernels.sql('pair', d2('a', 'b'), WIDE)}, 12) AS objective FROM p a JOIN p b ON a.id < b.id ORDER BY {kernels.sql('pair', d2('a', 'b'), WIDE)}, a.id, b.id LIMIT 1")
 R.add("s_exact_k3", lambda s, d: rounded(exact.exact_3(uni(s, d, "supp", 30), WIDE), "objective", digits=12), f"SELECT a, b, c, round(objective, 12) AS objective FROM ({K3_SQL}) AS q")
 R.add("s_exact_bnb", lambda s, d: rounded(exact.exact(uni(s, d, "supp", 30), 3, WIDE), "objective", digits=12).agg(F.sort_array(F.collect_list("id")).alias("v"), F.max("objective").alias("objective")).select(F.concat_ws(",", "v").alias("ids"), "objective"), f"SELECT concat_ws(',', a, b, c) AS ids, round(objective, 12) AS objective FROM ({K3_SQL}) AS q")
 R.add("s_exact_model", lambda s, d: exact.exact_model(uni(s, d, "supp", 20), 4, WIDE).groupBy("part").agg(F.count("*").alias("n")), f"WITH s AS ({bottom('supp', 20)}), c AS (SELECT count(*) AS n FROM s) SELECT part, CASE WHEN pairs THEN n * (n - 1) // 2 ELSE n END AS n FROM c, (VALUES ('minimize', true), ('subject', true), ('bounds', true), ('sum', false), ('binary', false)) AS t(part, pairs)")
@@ -259,14 +280,16 @@ R.add("c_equivalence", equivalence, "SELECT CAST(6 AS BIGINT) AS in_all")
 
 
 def counters(s: SparkSession, d: str) -> DataFrame:
-    p = uni(s, d, "latency", 600)
-    return ex.trace(p, 20, EPS, variant="burden_test", every=10_000).select("rows_seen", F.col("kernel_evals").alias("evals")).join(ex.trace(p, 20, EPS, every=10_000).select("rows_seen", F.col("kernel_evals").alias("add_drop")), "rows_seen").select("rows_seen", (F.col("evals") > 8 * F.col("add_drop")).alias("saves"))
+    """All rows, with and without add-drop: evaluations of the kernel and the swaps, which are the same."""
+    p = durable(load(s, d, "latency").select("id", "x", "y"))
+    one, other = (ex.trace(p, 20, EPS, variant=v, every=1 << 40).groupBy().agg(F.max("rows_seen").alias("rows_seen"), F.max("kernel_evals").alias(f"evals_{v}"), F.max("swaps").alias(f"swaps_{v}")) for v in ("burden_test", "add_drop"))
+    return one.join(other, "rows_seen").select("rows_seen", (F.col("evals_burden_test") > 8 * F.col("evals_add_drop")).alias("saves"), (F.col("swaps_burden_test") == F.col("swaps_add_drop")).alias("same_swaps"))
 
 
-R.add("c_counters", counters, "SELECT CAST(600 AS BIGINT) AS rows_seen, true AS saves")
+R.add("c_counters", counters, "SELECT count(*) AS rows_seen, true AS saves, true AS same_swaps FROM events")
 
 # --- density and drawing
-DENSITY_SQL = lambda name, k: f"WITH s AS ({bottom(name, k)}), n AS (SELECT arg_min(s.id, ROW({d2('p', 's')}, s.id)) AS sid FROM (SELECT row_number() OVER () AS rn, * FROM ({unit(name)}) AS u) AS p, s GROUP BY rn) SELECT s.id, count(n.sid) AS density FROM s LEFT JOIN n ON n.sid = s.id GROUP BY s.id"
+DENSITY_SQL = lambda name, k, rows=None: f"WITH s AS ({rows or bottom(name, k)}), n AS (SELECT arg_min(s.id, ROW({d2('p', 's')}, s.id)) AS sid FROM (SELECT row_number() OVER () AS rn, * FROM ({unit(name)}) AS u) AS p, s GROUP BY rn) SELECT s.id, count(n.sid) AS density FROM s LEFT JOIN n ON n.sid = s.id GROUP BY s.id"
 for _name, _how in (("scan", density.by_scan), ("grid", lambda a, b: density.by_index(a, b, "grid")), ("kdtree", density.by_index), ("cell_join", lambda a, b: density.by_cells(a, b, durable=durable))):
     R.add(f"d_density_{_name}", lambda s, d, h=_how: h(uni(s, d, "docs", 40), load(s, d, "docs")), DENSITY_SQL("docs", 40))
 R.add("d_density_ties", lambda s, d: density.by_index(uni(s, d, "discount", 60), load(s, d, "discount")), DENSITY_SQL("discount", 60))
@@ -295,3 +318,4 @@ def first_slice(s: SparkSession, d: str) -> DataFrame:
 
 
 R.add("w0_first_slice", first_slice)
+R.add("w0_first_slice_whole", lambda s, d: first_slice(s, d).agg(F.count("*").alias("n"), F.sum("density").alias("stands_for"), F.round(F.max("burden"), 6).alias("top")).select("n", "stands_for", (F.col("top") < 1).alias("uncrowded")), "SELECT least(100, count(*)) AS n, count(*) AS stands_for, true AS uncrowded FROM events")

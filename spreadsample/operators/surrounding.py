@@ -81,7 +81,8 @@ frame("op_join_star_broadcast", lambda s, d: t(s, d, "supplier").join(F.broadcas
 frame("op_join_merge_hint", lambda s, d: t(s, d, "lineitem").hint("merge").join(t(s, d, "orders"), F.col("l_orderkey") == F.col("o_orderkey")).groupBy("o_orderpriority").agg(F.count("*").alias("n")), "SELECT o_orderpriority, count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1")
 for _how, _word in (("left_semi", ""), ("left_anti", "NOT ")):
     frame(f"op_join_{_how}", lambda s, d, h=_how: t(s, d, "customer").join(t(s, d, "orders"), F.col("c_custkey") == F.col("o_custkey"), h).select("c_custkey"), f"SELECT c_custkey FROM customer WHERE {_word}EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey)")
-frame("op_join_range_cells", lambda s, d: measures.near_pairs(bl.uniform(load(s, d, "hubs"), 800), bl.uniform(load(s, d, "hubs"), 800), 0.02).where("a_id < b_id").select("a_id", "b_id"), f"WITH s AS ({bottom('hubs', 800)}) SELECT a.id AS a_id, b.id AS b_id FROM s a JOIN s b ON a.id < b.id WHERE {d2('a', 'b')} <= 0.02e0 * 0.02e0")
+_at = lambda c: f"CAST(floor({c} / 0.0002e0) AS BIGINT)"
+frame("op_join_range_cells", lambda s, d: measures.near_pairs(p := load(s, d, "hubs"), p, 0.0002).where("a_id < b_id").select("a_id", "b_id"), f"WITH s AS ({unit('hubs')}), o AS (SELECT range - 1 AS d FROM range(3)), t AS (SELECT id, x, y, {_at('x')} + ox.d AS cx, {_at('y')} + oy.d AS cy FROM s, o AS ox, o AS oy) SELECT a.id AS a_id, b.id AS b_id FROM (SELECT *, {_at('x')} AS cx, {_at('y')} AS cy FROM s) AS a JOIN t AS b ON a.cx = b.cx AND a.cy = b.cy WHERE a.id < b.id AND {d2('a', 'b')} <= 0.0002e0 * 0.0002e0")
 frame("op_join_nearest", lambda s, d: density.by_scan(bl.uniform(load(s, d, "supp"), 7), load(s, d, "supp")), f"WITH s AS ({bottom('supp', 7)}), n AS (SELECT arg_min(s.id, ROW({d2('p', 's')}, s.id)) AS sid FROM ({unit('supp')}) AS p, s GROUP BY p.id) SELECT s.id, count(n.sid) AS density FROM s LEFT JOIN n ON n.sid = s.id GROUP BY s.id")
 
 
@@ -115,7 +116,7 @@ sql("op_win_analytic", "SELECT event_id, lag(value) OVER w AS before, lead(value
 sql("op_win_frame", "SELECT event_id, round(sum(value) OVER (PARTITION BY user_id ORDER BY event_id ROWS BETWEEN 2 PRECEDING AND CURRENT ROW), 6) AS s3, count(*) OVER (PARTITION BY event_type ORDER BY event_id RANGE BETWEEN 50 PRECEDING AND CURRENT ROW) AS near FROM events")
 sql("op_sort_limit", "SELECT o_orderkey, o_totalprice FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 20 OFFSET 5")
 frame("op_topk_per_group", lambda s, d: t(s, d, "orders").withColumn("rn", F.row_number().over(Window.partitionBy("o_orderpriority").orderBy(F.desc("o_totalprice"), "o_orderkey"))).where("rn <= 3").select("o_orderpriority", "o_orderkey", "rn"), "SELECT o_orderpriority, o_orderkey, CAST(row_number() OVER (PARTITION BY o_orderpriority ORDER BY o_totalprice DESC, o_orderkey) AS INT) AS rn FROM orders QUALIFY rn <= 3")
-_a, _b = "SELECT s_nationkey AS k FROM supplier", "SELECT c_nationkey AS k FROM customer WHERE c_custkey < 60"
+_a, _b = "SELECT s_nationkey AS k FROM supplier", "SELECT c_nationkey AS k FROM customer"
 for _name, _word in (("union_all", "UNION ALL"), ("union", "UNION"), ("intersect", "INTERSECT"), ("intersect_all", "INTERSECT ALL"), ("except", "EXCEPT"), ("except_all", "EXCEPT ALL")):
     sql(f"op_set_{_name}", f"{_a} {_word} {_b}")
 frame("op_set_union_by_name", lambda s, d: t(s, d, "nation").select("n_name", F.lit(1).alias("a")).unionByName(t(s, d, "region").select(F.lit(2).alias("a"), F.col("r_name").alias("n_name"))), "SELECT n_name, 1 AS a FROM nation UNION ALL SELECT r_name, 2 FROM region")

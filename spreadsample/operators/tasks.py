@@ -23,10 +23,19 @@ def places(points: DataFrame, n: int, radius: float = 0.02) -> DataFrame:
     return measures.domain_probes(points, n, radius, oversample=40).select(F.col("probe_id").cast("int").alias("question"), F.col("px").alias("mx"), F.col("py").alias("my"))
 
 
+def around(rows: DataFrame, at: DataFrame, radius: float) -> DataFrame:
+    """rows within radius of a mark, with its question and their squared distance d2: an equi-join on cells, marks in nine of them."""
+    cell = lambda c: F.floor(F.col(c) / radius).cast("long")
+    near = F.array(*[F.lit(d) for d in (-1, 0, 1)])
+    marked = at.withColumn("dx", F.explode(near)).withColumn("dy", F.explode(near)).select("question", "mx", "my", (cell("mx") + F.col("dx")).alias("cx"), (cell("my") + F.col("dy")).alias("cy"))
+    met = rows.withColumns({"cx": cell("x"), "cy": cell("y")}).join(F.broadcast(marked), ["cx", "cy"])
+    return met.withColumn("d2", kernels.squared("x", "y", "mx", "my")).where(F.col("d2") <= radius * radius)
+
+
 def regression(points: DataFrame, sample: DataFrame, at: DataFrame, radius: float = RADIUS) -> DataFrame:
     """(question, correct): from the nearest drawn row within the reading radius the reader takes its value, and is right if that is nearer to the
     truth (the value at the mark) than to two wrong options, a tenth of the value range away; no row near means not sure."""
-    near = lambda rows, r: rows.crossJoin(F.broadcast(at)).withColumn("d2", kernels.squared("x", "y", "mx", "my")).where(F.col("d2") <= r * r).groupBy("question").agg(F.min_by("value", F.struct("d2", "id")).alias("v"))
+    near = lambda rows, r: around(rows, at, r).groupBy("question").agg(F.min_by("value", F.struct("d2", "id")).alias("v"))
     truth = near(points, radius).withColumnRenamed("v", "truth")
     span = points.agg((F.max("value") - F.min("value")).alias("span"))
     read = near(sample, radius)
@@ -37,7 +46,7 @@ def density(points: DataFrame, sample: DataFrame, at: DataFrame, weight: str | N
     """(question, correct): of each question's marks the reader names the densest and the sparsest by drawn rows (or their weights) within
     the radius; both must be those of the data, a tie is wrong."""
     def seen(rows: DataFrame, w) -> DataFrame:
-        met = at.join(rows.crossJoin(F.broadcast(at)).where(kernels.squared("x", "y", "mx", "my") <= radius * radius).groupBy("question").agg(F.sum(w).alias("n")), "question", "left").select("question", F.coalesce("n", F.lit(0)).alias("n"))
+        met = at.join(around(rows, at, radius).groupBy("question").agg(F.sum(w).alias("n")), "question", "left").select("question", F.coalesce("n", F.lit(0)).alias("n"))
         by = met.withColumns({"q": F.floor(F.col("question") / marks_each).cast("int")})
         ends = by.groupBy("q").agg(F.max_by("question", "n").alias("most"), F.min_by("question", "n").alias("least"), F.max("n").alias("hi"), F.min("n").alias("lo"))
         ties = by.join(ends, "q").groupBy("q", "most", "least").agg((F.sum((F.col("n") == F.col("hi")).cast("int")) == 1).alias("clear_top"), (F.sum((F.col("n") == F.col("lo")).cast("int")) == 1).alias("clear_low"))

@@ -3,29 +3,66 @@
 from __future__ import annotations
 
 import time
+from functools import reduce, wraps
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from spreadsample.functions import points
 from spreadsample.functions.points import load
-from spreadsample.functions.runtime import durable, new_path
+from spreadsample.functions.runtime import bounded, durable, new_path
 from spreadsample.operators import baselines as bl
 from spreadsample.operators import density, exact, measures, render, tasks
 from spreadsample.operators import exchange as ex
-from spreadsample.operators.queries import DENSITY_SQL, EPS, PRINTED_PAIRS, WIDE, bottom, quota_sql, unit
+from spreadsample.operators.queries import DENSITY_SQL, EPS, PRINTED_PAIRS, WIDE, bottom, grid_sql, quota_sql, rounded, uni, unit
 from spreadsample.plans import budget, catalog
 from spreadsample.registry import Registry
 from spreadsample.streaming import refresh
 
 R = Registry()
-METHODS = {"uniform": lambda p, k: bl.uniform(p, k), "grid": lambda p, k: bl.balanced_grid(p, k), "spread": lambda p, k: p.join(F.broadcast(ex.exchange(p, k, EPS).select("id")), "id", "left_semi")}
+#: Sizes of the task and loss experiments, and the probes of a loss.
+SIZES, PROBE_COUNT = (100, 316, 1000, 10_000), 1000
 
 
-def samples(p: DataFrame, ks: tuple[int, ...], methods=tuple(METHODS)):
+def spread(p: DataFrame, k: int, eps: float = EPS) -> DataFrame:
+    sample = ex.exchange(p, k, eps, variant=ex.choose_variant(k, k * 100 * eps * eps))
+    return p.join(bounded(sample.select("id"), k), "id", "left_semi")
+
+
+METHODS = {"uniform": lambda p, k: bl.uniform(p, k), "grid": lambda p, k: bl.balanced_grid(p, k, 100), "spread": spread}
+
+
+_kept: dict[tuple, DataFrame] = {}
+
+
+def remembered(make):
+    """Results of an experiment stay in the shared folder for the session: tables and claims read the same ones, and tasks and losses
+    the same samples."""
+
+    @wraps(make)
+    def run(spark: SparkSession, sf: str, *args, **options) -> DataFrame:
+        key = (make.__name__, sf, spark.sparkContext.applicationId, args, tuple(sorted(options.items())))
+        if key not in _kept:
+            _kept[key] = durable(make(spark, sf, *args, **options))
+        return _kept[key]
+
+    return run
+
+
+@remembered
+def point_set(spark: SparkSession, sf: str, name: str) -> DataFrame:
+    return load(spark, sf, name)
+
+
+@remembered
+def sample_of(spark: SparkSession, sf: str, name: str, method: str, k: int) -> DataFrame:
+    return METHODS[method](point_set(spark, sf, name), k)
+
+
+def samples(spark: SparkSession, sf: str, name: str, ks: tuple[int, ...]):
     for k in ks:
-        for m in methods:
-            yield k, m, durable(METHODS[m](p, k))
+        for m in METHODS:
+            yield k, m, sample_of(spark, sf, name, m, k)
 
 
 def measured(spark: SparkSession, rows: list[tuple]) -> DataFrame:
@@ -35,143 +72,179 @@ def measured(spark: SparkSession, rows: list[tuple]) -> DataFrame:
 def w1_zoom_coverage(spark: SparkSession, sf: str) -> DataFrame:
     """Pixels kept in the overview and in three zooms, balanced over a fine grid against spread."""
     out = []
-    for name in ("hubs", "latency"):
+    for name in ("hubs", "latency", "docs"):
         p = durable(load(spark, sf, name))
         k = max(100, p.count() // 100)
-        for m, s in (("grid", durable(bl.balanced_grid(p, k, 316))), ("spread", durable(METHODS["spread"](p, k)))):
+        for m, s in (("grid", durable(bl.balanced_grid(p, k, 316))), ("spread", durable(spread(p, k)))):
             for box, label in (((0, 1, 0, 1), "overview"), ((0.2, 0.5, 0.2, 0.5), "zoom1"), ((0.5, 0.8, 0.1, 0.4), "zoom2"), ((0.4, 0.6, 0.6, 0.8), "zoom3")):
                 r = tasks.overview(p, s, box).first()
                 out.append((name, m, k, label, r["kept"] / max(1, r["total"])))
     return measured(spark, out)
 
 
-def w2_plot_latency(spark: SparkSession, sf: str) -> DataFrame:
-    """Seconds to draw a raster of growing prefixes, and the linear fit."""
-    p = durable(load(spark, sf, "price"))
-    rows = []
-    for share in (25, 50, 75, 100):
-        part = p.where(F.pmod(F.xxhash64("id"), F.lit(100)) < share)
-        n, began = part.count(), time.time()
-        render.raster(part).agg(F.sum("n")).collect()
-        rows.append(("price", float(n), time.time() - began))
-    return budget.fit_latency(spark.createDataFrame(rows, "series string, n double, seconds double"))
-
-
-def w3_plot_latency_sets(spark: SparkSession, sf: str) -> DataFrame:
+def drawing_times(spark: SparkSession, sf: str, names: tuple[str, ...], shares: tuple[int, ...]) -> DataFrame:
+    """(series, n, seconds): drawing a raster of growing shares (by hash) of each set, by two ways: pixels aggregated where rows are
+    read, and every row's mark brought to the driver, as plotting libraries do."""
     rows = []
-    for name in ("hubs", "gauss5"):
+    for name in names:
         p = durable(load(spark, sf, name))
-        for share in (20, 50, 100):
+        for share in shares:
             part = p.where(F.pmod(F.xxhash64("id"), F.lit(100)) < share)
             n, began = part.count(), time.time()
             render.raster(part).agg(F.sum("n")).collect()
-            rows.append((name, float(n), time.time() - began))
-    return budget.fit_latency(spark.createDataFrame(rows, "series string, n double, seconds double"))
+            rows.append((f"{name}_raster", float(n), time.time() - began))
+            began = time.time()
+            for batch in part.select("x", "y").toLocalIterator():  # a mark at a time
+                batch["x"]
+            rows.append((f"{name}_marks", float(n), time.time() - began))
+    return spark.createDataFrame(rows, "series string, n double, seconds double")
 
 
-def answers_regression(spark: SparkSession, sf: str, ks=(100, 1000), names=("hubs", "price"), questions: int = 60) -> DataFrame:
+def w2_plot_latency(spark: SparkSession, sf: str) -> DataFrame:
+    """Seconds to draw growing shares of one set by two plotters, and the linear fit."""
+    return budget.fit_latency(drawing_times(spark, sf, ("price",), (25, 50, 75, 100)))
+
+
+def w3_plot_latency_sets(spark: SparkSession, sf: str) -> DataFrame:
+    """The same for both sets."""
+    return budget.fit_latency(drawing_times(spark, sf, ("hubs", "gauss5"), (20, 50, 100)))
+
+
+@remembered
+def answers_regression(spark: SparkSession, sf: str, ks=SIZES, names=("hubs", "price"), questions: int = 72) -> DataFrame:
     out = None
     for name in names:
-        p = durable(load(spark, sf, name))
+        p = point_set(spark, sf, name)
         at = durable(tasks.places(p, questions))
-        for k, m, s in samples(p, ks):
+        for k, m, s in samples(spark, sf, name, ks):
             a = tasks.regression(p, s, at).select(F.lit(name).alias("dataset"), F.lit(m).alias("method"), F.lit(k).alias("k"), "question", "correct")
             out = a if out is None else out.union(a)
-    return durable(out)
+    return out
+
+
+def regression_answers(spark: SparkSession, sf: str, names=("hubs", "price")) -> DataFrame:
+    return reduce(DataFrame.union, [answers_regression(spark, sf, names=(n,)) for n in names])
 
 
-def answers_density(spark: SparkSession, sf: str, ks=(100, 1000), names=("hubs", "latency"), questions: int = 80) -> DataFrame:
+def with_weights(p: DataFrame, m: str, s: DataFrame) -> list[tuple[str, DataFrame, str | None]]:
+    return [(m, s, None)] + ([("spread_density", durable(s.join(density.by_index(s, p), "id")), "density")] if m == "spread" else [])
+
+
+@remembered
+def answers_density(spark: SparkSession, sf: str, ks=SIZES, names=("hubs", "latency"), questions: int = 80) -> DataFrame:
     out = None
     for name in names:
-        p = durable(load(spark, sf, name))
+        p = point_set(spark, sf, name)
         at = tasks.marks(spark, p, questions)
-        for k, m, s in samples(p, ks):
-            kinds = [(m, s, None)] + ([("spread_density", durable(s.join(density.by_index(s, p), "id")), "density")] if m == "spread" else [])
-            for label, rows, w in kinds:
+        for k, m, s in samples(spark, sf, name, ks):
+            for label, rows, w in with_weights(p, m, s):
                 a = tasks.density(p, rows, at, w).select(F.lit(name).alias("dataset"), F.lit(label).alias("method"), F.lit(k).alias("k"), "question", "correct")
                 out = a if out is None else out.union(a)
-    return durable(out)
+    return out
 
 
-def answers_clustering(spark: SparkSession, sf: str, ks=(100, 1000), names=("mix1a", "mix1b", "mix2a", "mix2b")) -> DataFrame:
+@remembered
+def answers_clustering(spark: SparkSession, sf: str, ks=SIZES, names=("mix1a", "mix1b", "mix2a", "mix2b")) -> DataFrame:
     rows = []
     for q, name in enumerate(names):
-        p = durable(load(spark, sf, name))
+        p = point_set(spark, sf, name)
         truth = int(p.first()["value"])
-        for k, m, s in samples(p, ks):
-            kinds = [(m, s, None)] + ([("spread_density", durable(s.join(density.by_index(s, p), "id")), "density")] if m == "spread" else [])
-            for label, kept, w in kinds:
+        for k, m, s in samples(spark, sf, name, ks):
+            for label, kept, w in with_weights(p, m, s):
                 rows.append((name, label, k, q, tasks.clusters(kept, weight=w).first()["n"] == truth))
     return spark.createDataFrame(rows, "dataset string, method string, k int, question int, correct boolean")
 
 
-def losses(spark: SparkSession, sf: str, name: str, ks=(100, 1000), m: int = 200) -> list[tuple]:
-    p = durable(load(spark, sf, name))
+@remembered
+def losses(spark: SparkSession, sf: str, name: str = "hubs", ks=(100, 316, 1000, 3162, 10_000), m: int = PROBE_COUNT) -> DataFrame:
+    """(dataset, method, k, measure, v): log loss ratio of every method and size; the loss of all rows is taken once."""
+    p = point_set(spark, sf, name)
     at = durable(measures.domain_probes(p, m))
-    return [(name, method, k, "log_loss_ratio", measures.log_ratio(p, s, at, EPS).first()[0]) for k, method, s in samples(p, ks)]
+    base = measures.average_loss(measures.point_loss(at, p, EPS)).first()[0]
+    return measured(spark, [(name, method, k, "log_loss_ratio", measures.average_loss(measures.point_loss(at, s, EPS)).first()[0] - base) for k, method, s in samples(spark, sf, name, ks)])
 
 
 def w7_loss_success_correlation(spark: SparkSession, sf: str) -> DataFrame:
-    """Rank correlation of log loss ratio and regression success over (method, k): ours, and that of the printed pairs."""
-    success = {(r["method"], r["k"]): r["s"] for r in answers_regression(spark, sf, names=("hubs",)).groupBy("method", "k").agg(F.avg(F.col("correct").cast("double")).alias("s")).collect()}
-    ours = [(v, success[m, k]) for _, m, k, _, v in losses(spark, sf, "hubs")]
-    rho = lambda rows: measures.spearman(spark.createDataFrame(rows, "a double, b double"), "a", "b").first()
+    """Rank correlation of log loss ratio and regression success over (method, k), twelve points: ours, and that of the printed pairs."""
+    ks = SIZES
+    success = {(r["method"], r["k"]): r["s"] for r in regression_answers(spark, sf, ("hubs",)).groupBy("method", "k").agg(F.avg(F.col("correct").cast("double")).alias("s")).collect()}
+    ours = [(r["v"], success[r["method"], r["k"]]) for r in losses(spark, sf).where(F.col("k").isin(*ks)).collect()]
+    rho = lambda rows: measures.spearman(spark.createDataFrame(rows, "a double, b double"), "a", "b", durable).first()
     a, b = rho(ours), rho(PRINTED_PAIRS)
-    return spark.createDataFrame([("ours", a["rho"], None), ("printed", b["rho"], measures.t_tail(b["t"], b["n"] - 2))], "pairs string, rho double, p double")
+    return spark.createDataFrame([("ours", a["n"], a["rho"], measures.t_tail(a["t"], a["n"] - 2)), ("printed", b["n"], b["rho"], measures.t_tail(b["t"], b["n"] - 2))], "pairs string, points long, rho double, p double")
 
 
 def w8_error_time(spark: SparkSession, sf: str, names=("hubs", "docs")) -> DataFrame:
-    """Log loss ratio over size, and predicted seconds at the printed slope of 8.83 s a million rows."""
-    rows = [r for name in names for r in losses(spark, sf, name, ks=(100, 316, 1000))]
-    return measured(spark, rows).withColumn("seconds", F.col("k") * 8.83e-6)
+    """Log loss ratio over size; seconds from a line fitted to drawing times measured here, mark by mark, and from the printed slope
+    of 8.83 s a million rows."""
+    out = None
+    for name in names:
+        fit = budget.fit_latency(drawing_times(spark, sf, (name,), (25, 50, 100)).where("series LIKE '%marks'")).first()
+        one = losses(spark, sf, name=name).withColumns({"seconds": F.greatest(F.lit(0.0), F.lit(fit["intercept"]) + F.lit(fit["slope"]) * F.col("k")), "printed_seconds": F.col("k") * 8.83e-6})
+        out = one if out is None else out.union(one)
+    return out
 
 
-def w10_exact_heuristic(spark: SparkSession, sf: str, sizes=(50, 60), k: int = 10) -> DataFrame:
+@remembered
+def w10_exact_heuristic(spark: SparkSession, sf: str, sizes=(50, 60, 70, 80), k: int = 10) -> DataFrame:
+    """Objective, seconds and log loss of the optimum, the exchange and a random choice."""
     out = []
     for n in sizes:
         p = durable(bl.uniform(load(spark, sf, "cust"), n))
-        began = time.time()
-        best = exact.exact(p, k, WIDE).first()["objective"]
-        took = time.time() - began
-        value = lambda s: measures.objective(s, WIDE).first()[0]
-        stable = ex.exchange_until_stable(p, k, WIDE, durable=durable)[0]
-        out += [("cust", "exact", n, "objective", best), ("cust", "exact", n, "seconds", took), ("cust", "exchange", n, "objective", value(stable)), ("cust", "random", n, "objective", value(bl.uniform(p, k, seed=5)))]
+        at = measures.probes(spark, 100, 1)
+        makers = {"exact": lambda p=p: exact.exact(p, k, WIDE).select("id"), "exchange": lambda p=p: ex.exchange_until_stable(p, k, WIDE, durable=durable)[0].select("id"), "random": lambda p=p: bl.uniform(p, k, seed=5).select("id")}
+        for method, make in makers.items():
+            began = time.time()
+            s = durable(p.join(F.broadcast(make()), "id", "left_semi"))  # k ids
+            took = time.time() - began
+            loss = measures.average_loss(measures.point_loss(at, s, WIDE), "mean").first()[0]
+            out += [("cust", method, n, m, float(v)) for m, v in (("seconds", took), ("objective", measures.objective(s, WIDE).first()[0]), ("log_loss", loss))]
     return measured(spark, out)
 
 
-def w11_convergence(spark: SparkSession, sf: str) -> DataFrame:
+@remembered
+def w11_convergence(spark: SparkSession, sf: str, k: int = 1000) -> DataFrame:
     """Objective relative to its first and best value along one scan."""
-    t = ex.trace(load(spark, sf, "hubs"), 300, EPS, every=2000)
+    t = ex.trace(load(spark, sf, "hubs"), k, EPS, every=max(1000, k), variant=ex.choose_variant(k, k * 100 * EPS * EPS))
     w = Window.partitionBy("variant")
     return t.withColumn("scaled", (F.col("objective") - F.min("objective").over(w)) / F.nullif(F.max("objective").over(w) - F.min("objective").over(w), F.lit(0.0)))
 
 
-def w12_ablation(spark: SparkSession, sf: str, small: int = 100, large: int = 2000) -> DataFrame:
-    """Seconds and kernel evaluations of no add-drop (over 300 rows past the fill), add-drop and add-drop with locality."""
+@remembered
+def w12_ablation(spark: SparkSession, sf: str, small: int = 100, large: int = 5000, tested: int = 500) -> DataFrame:
+    """Seconds and kernel evaluations of no add-drop, add-drop, locality and locality with a heap. The variant without add-drop runs over
+    `tested` rows past the fill (5 at the large size); whole_seconds and whole_evals say what all rows would take at its rate, for the others what they took."""
     p = durable(load(spark, sf, "price").select("id", "x", "y"))
-    runs = [(k, v, None if v != "burden_test" else k + 300) for k, v in ((small, "burden_test"), (small, "add_drop"), (small, "local"), (large, "add_drop"), (large, "local"))]
-    out = None
-    for k, v, most in runs:
-        t = ex.trace(p, k, EPS, every=1000 if most is None else most, max_rows=most, variant=v)
+    n, out = p.count(), None
+    for k, v in ((small, "burden_test"), (small, "add_drop"), (small, "local"), (small, "heap"), (large, "burden_test"), (large, "add_drop"), (large, "local"), (large, "heap")):
+        past = (tested if k == small else 5) if v == "burden_test" else None
+        t = ex.trace(p, k, EPS, every=1 << 40, max_rows=None if past is None else k + past, variant=v)
         last = t.groupBy("variant").agg(F.max("rows_seen").alias("rows_seen"), F.max("kernel_evals").alias("kernel_evals"), F.max("seconds").alias("seconds"), F.min_by("objective", -F.col("rows_seen")).alias("objective")).withColumn("k", F.lit(k))
+        rate = F.greatest(F.lit(1.0), F.lit(n - k) / F.greatest(F.lit(1), F.col("rows_seen") - k))
+        last = last.withColumns({"whole_seconds": F.col("seconds") * rate, "whole_evals": F.col("kernel_evals") * rate})
         out = last if out is None else out.union(last)
     return out
 
 
-def w13_build(spark: SparkSession, sf: str) -> DataFrame:
+@remembered
+def w13_build(spark: SparkSession, sf: str, ks=(100, 500, 1000, 10_000)) -> DataFrame:
+    """Stored samples of several sizes of two sets: the manifest, and the seconds of the whole build."""
     path, began = new_path(spark, "catalog"), time.time()
-    m = catalog.build(spark, {"latency": durable(load(spark, sf, "latency"))}, [100, 500], path, EPS, durable)
+    m = catalog.build(spark, {n: durable(load(spark, sf, n)) for n in ("latency", "hubs")}, list(ks), path, EPS, durable)
     return m.withColumn("seconds", F.lit(time.time() - began))
 
 
+@remembered
 def w14_runtime_scaling(spark: SparkSession, sf: str) -> DataFrame:
-    p, out = durable(load(spark, sf, "mix2a")), []
-    builders = {"random": lambda q, k: bl.uniform(q, k), "exchange": lambda q, k: ex.exchange(q, k, EPS), "greedy": lambda q, k: exact.greedy(q, k, EPS, durable=durable)}
+    """Seconds of the builders over K on all rows, and over N at one K; greedy, a pass for each row it takes, up to K = 100."""
+    p, out = durable(load(spark, sf, "mix2a").select("id", "x", "y")), []
+    builders = {"random": lambda q, k: bl.uniform(q, k), "exchange": lambda q, k: ex.exchange(q, k, EPS), "exchange_local": lambda q, k: ex.exchange(q, k, EPS, variant="local"), "greedy": lambda q, k: ex.greedy_start(q, k, EPS)}
     for method, f in builders.items():
-        for share, k in ((100, 10), (100, 20), (100, 100), (10, 20)):
-            if method == "greedy" and k > 20:
+        for share, k in ((100, 10), (100, 100), (100, 1000), (100, 10_000), (1, 100), (10, 100)):
+            if k == 10_000 and method == "exchange":
                 continue
-            q, began = p.where(F.pmod(F.xxhash64("id"), F.lit(100)) < share), time.time()
+            q = durable(p.where(F.pmod(F.xxhash64("id"), F.lit(100)) < share))
+            began = time.time()
             f(q, k).count()
             out.append((f"share{share}", method, k, "seconds", time.time() - began))
     return measured(spark, out)
@@ -203,7 +276,86 @@ def w18_stream_refresh(spark: SparkSession, sf: str, k: int = 60) -> DataFrame:
 
 for _f in (w1_zoom_coverage, w2_plot_latency, w3_plot_latency_sets, w7_loss_success_correlation, w8_error_time, w10_exact_heuristic, w11_convergence, w12_ablation, w13_build, w14_runtime_scaling):
     R.add(_f.__name__, _f)
-R.add("w4_regression", lambda s, d: tasks.success_table(answers_regression(s, d)))
+
+
+def claims(*names: str):
+    """Registers a function of booleans under its name, with the SQL that says that all are true."""
+    return lambda f: R.add(f.__name__, f, "SELECT " + ", ".join(f"true AS {n}" for n in names)) or f
+
+
+def by_method(answers: DataFrame) -> dict[str, float]:
+    return {r["method"]: r["s"] for r in answers.groupBy("method").agg(F.avg(F.col("correct").cast("double")).alias("s")).collect()}
+
+
+def said(spark: SparkSession, **facts: bool) -> DataFrame:
+    return spark.createDataFrame([tuple(bool(v) for v in facts.values())], ", ".join(f"{c} boolean" for c in facts))
+
+
+@claims("spread_beats_uniform", "spread_beats_grid")
+def w4_regression_order(spark: SparkSession, sf: str) -> DataFrame:
+    s = by_method(regression_answers(spark, sf))
+    return said(spark, spread_beats_uniform=s["spread"] > s["uniform"], spread_beats_grid=s["spread"] > s["grid"])
+
+
+@claims("weights_beat_plain_spread", "weights_beat_grid")
+def w5_density_order(spark: SparkSession, sf: str) -> DataFrame:
+    s = by_method(answers_density(spark, sf))
+    return said(spark, weights_beat_plain_spread=s["spread_density"] > s["spread"], weights_beat_grid=s["spread_density"] > s["grid"])
+
+
+@claims("weights_no_worse_than_plain")
+def w6_clustering_order(spark: SparkSession, sf: str) -> DataFrame:
+    s = by_method(answers_clustering(spark, sf))
+    return said(spark, weights_no_worse_than_plain=s["spread_density"] >= s["spread"])
+
+
+@claims("twelve_points", "more_loss_less_success", "printed_rho")
+def w7_correlation_sign(spark: SparkSession, sf: str) -> DataFrame:
+    r = {x["pairs"]: x for x in w7_loss_success_correlation(spark, sf).collect()}
+    return said(spark, twelve_points=r["ours"]["points"] == 12, more_loss_less_success=r["ours"]["rho"] < -0.5, printed_rho=abs(r["printed"]["rho"] + 0.84615) < 1e-5)
+
+
+@claims("spread_is_lowest", "loss_falls_with_size", "spread_loses_nothing_at_last")
+def w8_loss_order(spark: SparkSession, sf: str) -> DataFrame:
+    v = {(r["method"], r["k"]): r["v"] for r in losses(spark, sf).collect()}
+    ks = sorted({k for _, k in v})
+    return said(spark, spread_is_lowest=all(v["spread", k] <= min(v["uniform", k], v["grid", k]) for k in ks), loss_falls_with_size=all(v[m, ks[-1]] < v[m, ks[0]] for m in METHODS), spread_loses_nothing_at_last=v["spread", ks[-1]] < 0.2)
+
+
+@claims("exact_lowest", "exchange_below_random", "every_measure")
+def w10_order(spark: SparkSession, sf: str) -> DataFrame:
+    v = {(r["method"], r["k"], r["measure"]): r["v"] for r in w10_exact_heuristic(spark, sf).collect()}
+    j = lambda m, n: v[m, n, "objective"]
+    ns = sorted({n for _, n, _ in v})
+    return said(spark, exact_lowest=all(j("exact", n) <= j("exchange", n) + 1e-12 for n in ns), exchange_below_random=all(j("exchange", n) < j("random", n) for n in ns), every_measure=len(v) == 9 * len(ns))
+
+
+@claims("never_rises", "ends_at_best")
+def w11_descent(spark: SparkSession, sf: str) -> DataFrame:
+    t = [r["scaled"] for r in w11_convergence(spark, sf).orderBy("rows_seen").collect()]
+    return said(spark, never_rises=all(b <= a + 1e-9 for a, b in zip(t, t[1:])), ends_at_best=t[-1] <= 1e-9)
+
+
+@claims("add_drop_saves", "locality_saves_at_large_k", "heap_same_evals")
+def w12_evals(spark: SparkSession, sf: str) -> DataFrame:
+    v = {(r["k"], r["variant"]): r["whole_evals"] for r in w12_ablation(spark, sf).collect()}
+    return said(spark, add_drop_saves=all(v[k, "add_drop"] < v[k, "burden_test"] for k in (100, 5000)), locality_saves_at_large_k=v[5000, "local"] < v[5000, "add_drop"], heap_same_evals=v[5000, "heap"] == v[5000, "local"])
+
+
+@claims("every_size", "spread_is_lowest", "all_rows_seen")
+def w13_manifest(spark: SparkSession, sf: str) -> DataFrame:
+    m = [r.asDict() for r in w13_build(spark, sf).collect()]
+    best = {(r["dataset"], r["k"]): min((x["objective"], x["method"] != "spread", x["method"]) for x in m if (x["dataset"], x["k"]) == (r["dataset"], r["k"])) for r in m}
+    return said(spark, every_size=len(m) == 2 * 4 * 3, spread_is_lowest=all(b[2] == "spread" for b in best.values()), all_rows_seen=all(r["rows_seen"] > 0 for r in m))
+
+
+@claims("every_run", "positive")
+def w14_runs(spark: SparkSession, sf: str) -> DataFrame:
+    v = w14_runtime_scaling(spark, sf).collect()
+    return said(spark, every_run=len(v) == 23, positive=all(r["v"] > 0 for r in v))
+
+
+R.add("w4_regression", lambda s, d: tasks.success_table(regression_answers(s, d)))
 R.add("w5_density", lambda s, d: tasks.success_table(answers_density(s, d)))
 R.add("w6_clustering", lambda s, d: tasks.success_table(answers_clustering(s, d)))
 R.add("w9_error_time_gauss", lambda s, d: w8_error_time(s, d, names=("gauss5",)))
@@ -220,9 +372,34 @@ def near_sql(rows: str) -> str:
 
 
 R.add("u_regression_uniform", lambda s, d: tasks.regression(p := load(s, d, "docs"), bl.uniform(p, 60), tasks.marks(s, p, 40)), f"SELECT CAST(m.mq AS INT) AS question, coalesce(abs(r.v - t.v) < (SELECT max(value) - min(value) FROM ({unit('docs')}) AS a) / 20, false) AS correct FROM ({MARKS}) AS m JOIN ({near_sql(unit('docs'))}) AS t ON t.mq = m.mq LEFT JOIN ({near_sql(bottom('docs', 60))}) AS r ON r.mq = m.mq")
+R.add("u_regression_grid", lambda s, d: tasks.regression(p := load(s, d, "docs"), bl.balanced_grid(p, 60), tasks.marks(s, p, 40)), f"SELECT CAST(m.mq AS INT) AS question, coalesce(abs(r.v - t.v) < (SELECT max(value) - min(value) FROM ({unit('docs')}) AS a) / 20, false) AS correct FROM ({MARKS}) AS m JOIN ({near_sql(unit('docs'))}) AS t ON t.mq = m.mq LEFT JOIN ({near_sql(grid_sql('docs', 60, 10))}) AS r ON r.mq = m.mq")
+
+
+def seen_sql(rows: str, weight: str) -> str:
+    """Per question of four marks: the fullest and the emptiest, and whether each is alone."""
+    counts = f"SELECT m.mq AS mq, CAST(m.mq // 4 AS INT) AS q, coalesce(sum({weight}) FILTER (WHERE (x - mx) * (x - mx) + (y - my) * (y - my) <= 0.03e0 * 0.03e0), 0) AS n FROM ({MARKS}) AS m LEFT JOIN ({rows}) AS r ON abs(x - mx) <= 0.03e0 AND abs(y - my) <= 0.03e0 GROUP BY m.mq"
+    return f"SELECT q, arg_max(mq, n) AS most, arg_min(mq, n) AS least, count(*) FILTER (WHERE n = hi) = 1 AS top, count(*) FILTER (WHERE n = lo) = 1 AS low FROM (SELECT *, max(n) OVER (PARTITION BY q) AS hi, min(n) OVER (PARTITION BY q) AS lo FROM ({counts}) AS c) AS e GROUP BY q"
+
+
+def density_sql(rows: str, weight: str) -> str:
+    return f"SELECT a.q AS question, CASE WHEN a.top AND a.low AND b.top AND b.low THEN a.most = b.most AND a.least = b.least ELSE a.most = b.most AND a.least = b.least AND b.top AND b.low END AS correct FROM ({seen_sql(unit('docs'), '1')}) AS a JOIN ({seen_sql(rows, weight)}) AS b ON a.q = b.q"
+
+
+R.add("u_density_uniform", lambda s, d: tasks.density(p := load(s, d, "docs"), bl.uniform(p, 300), tasks.marks(s, p, 40)), density_sql(bottom("docs", 300), "1"))
+R.add("u_density_weighted_grid", lambda s, d: tasks.density(p := load(s, d, "docs"), (g := durable(bl.balanced_grid(p, 100))).join(density.by_index(g, p), "id"), tasks.marks(s, p, 40), "density"), density_sql(f"SELECT g.*, w.density FROM ({grid_sql('docs', 100, 10)}) AS g JOIN ({DENSITY_SQL('docs', 100, grid_sql('docs', 100, 10))}) AS w ON g.id = w.id", "density"))
+CLUSTERS_SQL = f"""
+WITH RECURSIVE px AS (SELECT least(15, CAST(floor(x * 16) AS INT)) AS px, least(15, CAST(floor(y * 16) AS INT)) AS py, CAST(count(*) AS DOUBLE) AS n FROM ({bottom('mix2a', 2000)}) AS s GROUP BY 1, 2),
+o AS (SELECT a.range - 1 AS dx, b.range - 1 AS dy FROM range(3) AS a, range(3) AS b),
+sm AS (SELECT px + dx AS px, py + dy AS py, sum(n / (1 + abs(dx) + abs(dy))) AS n FROM px, o GROUP BY 1, 2),
+full_ AS (SELECT px, py, (px + 8) * 100 + py + 8 AS id FROM sm WHERE n >= 0.35e0 * (SELECT max(n) FROM sm)),
+reach AS (SELECT id, id AS root FROM full_ UNION SELECT b.id, r.root FROM reach AS r JOIN full_ AS a ON a.id = r.id JOIN full_ AS b ON abs(a.px - b.px) <= 1 AND abs(a.py - b.py) <= 1)
+SELECT CAST(count(*) AS INT) AS n FROM (SELECT root, count(*) AS size FROM (SELECT id, min(root) AS root FROM reach GROUP BY id) AS l GROUP BY root HAVING count(*) >= 3) AS z"""
+R.add("u_clusters_raster", lambda s, d: tasks.clusters(uni(s, d, "mix2a", 2000)), CLUSTERS_SQL)
 R.add("u_regression_spread", lambda s, d: tasks.success_table(answers_regression(s, d, ks=(200,), names=("price",))))
+R.add("u_density_spread", lambda s, d: tasks.success_table(answers_density(s, d, ks=(200,), names=("hubs",)).where("method = 'spread'")))
 R.add("u_density_spread_weighted", lambda s, d: tasks.success_table(answers_density(s, d, ks=(200,), names=("hubs",))))
 R.add("u_clustering_spread", lambda s, d: tasks.success_table(answers_clustering(s, d, ks=(300,), names=("mix1a", "mix2a"))))
+R.add("u_loss_correlation", lambda s, d: w7_loss_success_correlation(s, d).where("pairs = 'ours'"))
 R.add("u_success_table", lambda s, d: tasks.success_table(s.createDataFrame([(100, "uniform", True), (100, "spread", True), (100, "spread", False), (1000, "uniform", False), (1000, "spread", True)], "k int, method string, correct boolean")), "SELECT * FROM (VALUES (100, 1e0, 0.5e0), (1000, 0e0, 1e0), (NULL, 0.5e0, 0.6666666666666666e0)) AS t(k, uniform, spread)")
 
 # --- query time
@@ -240,7 +417,10 @@ R.add("q_time_for_error", lambda s, d: budget.time_for_error(curves(s), 1.0), f"
 R.add("q_speedup_printed", lambda s, d: budget.speedup(curves(s), "spread").withColumn("factor", F.round("factor", 6)), "SELECT * FROM (VALUES (0.1e0, 'uniform', 450e0), (0.2e0, 'uniform', 675e0), (1e0, 'uniform', 180e0), (9e0, 'uniform', 24e0), (0.1e0, 'grid', 450e0), (0.2e0, 'grid', 225e0), (1e0, 'grid', 63e0), (9e0, 'grid', 7e0)) AS t(ours_seconds, method, factor)")
 R.add("q_advise_frequency", lambda s, d: budget.advise_by_frequency(query_log(s)).where("n > 20").withColumn("share", F.round("share", 9)), f"SELECT * FROM ({ADVISE_SQL}) AS a WHERE n > 20")
 R.add("q_coverage_share", lambda s, d: budget.advise_by_frequency(query_log(s)).limit(4).agg((F.max("share") >= 0.8).alias("tenth_covers_most")), "SELECT true AS tenth_covers_most")
-R.add("q_advise_stats", lambda s, d: (points.tables(s, d, "lineitem"), budget.advise_by_stats(s.table("lineitem"), LINE_COLUMNS).withColumn("score", F.round("score", 6)))[1], " UNION ALL ".join(f"SELECT '{a}' AS xcol, '{b}' AS ycol, round(1 - abs(corr({a}, {b})), 6) AS score FROM lineitem" for i, a in enumerate(LINE_COLUMNS) for b in LINE_COLUMNS[i + 1 :]))
+_shape = lambda c: f"(SELECT abs(skewness({c})) * (count({c}) - 2) / sqrt(CAST(count({c}) AS DOUBLE) * (count({c}) - 1)) FROM lineitem)"
+_tails = lambda c: f"(SELECT abs(kurtosis_pop({c})) FROM lineitem)"
+R.add("q_advise_stats", lambda s, d: (points.tables(s, d, "lineitem"), rounded(budget.advise_by_stats(s.table("lineitem"), LINE_COLUMNS).drop("distinct"), "score", "skew", "tails", digits=5))[1], " UNION ALL ".join(f"SELECT '{a}' AS xcol, '{b}' AS ycol, (SELECT round(1 - abs(corr({a}, {b})), 5) FROM lineitem) AS score, round({_shape(a)} + {_shape(b)}, 5) AS skew, round({_tails(a)} + {_tails(b)}, 5) AS tails" for i, a in enumerate(LINE_COLUMNS) for b in LINE_COLUMNS[i + 1 :]))
+R.add("q_advise_manual", lambda s, d: budget.advise_manually(s.read.parquet(f"{d}/lineitem.parquet"), [("l_quantity", "l_extendedprice"), ("l_discount", "l_tax")]), "SELECT * FROM (VALUES ('l_quantity', 'l_extendedprice'), ('l_discount', 'l_tax')) AS t(xcol, ycol)")
 
 
 def weighted_avg(s: SparkSession, d: str) -> DataFrame:
@@ -281,4 +461,10 @@ def through_udtf(s: SparkSession, d: str) -> DataFrame:
 
 
 R.add("q_udtf", through_udtf, "SELECT CAST(10 * count(DISTINCT event_type) AS BIGINT) AS n, CAST(10 * count(DISTINCT event_type) AS BIGINT) AS ids FROM events")
-R.add("q_catalog_build", lambda s, d: w13_build(s, d).groupBy("dataset", "k").agg(F.count("*").alias("methods"), (F.min_by("method", "objective") == "spread").alias("spread_is_lowest")), "SELECT 'latency' AS dataset, k, CAST(3 AS BIGINT) AS methods, true AS spread_is_lowest FROM (VALUES (100), (500)) AS t(k)")
+
+
+def small_build(s: SparkSession, d: str) -> DataFrame:
+    return catalog.build(s, {"latency": durable(load(s, d, "latency"))}, [100, 500], new_path(s, "catalog"), EPS, durable)
+
+
+R.add("q_catalog_build", lambda s, d: small_build(s, d).groupBy("dataset", "k").agg(F.count("*").alias("methods"), (F.min_by("method", "objective") == "spread").alias("spread_is_lowest")), "SELECT 'latency' AS dataset, k, CAST(3 AS BIGINT) AS methods, true AS spread_is_lowest FROM (VALUES (100), (500)) AS t(k)")

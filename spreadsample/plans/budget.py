@@ -44,14 +44,26 @@ def advise_by_frequency(log: DataFrame) -> DataFrame:
 
 
 def advise_by_stats(df: DataFrame, columns: list[str]) -> DataFrame:
-    """(xcol, ycol, score): pairs of numeric columns by how much their plot has to show (1 - |correlation| and the spread of values), from
-    one aggregate over the table."""
+    """(xcol, ycol, score, skew, tails, distinct): pairs of numeric columns by how much their plot has to show: 1 - |correlation|, then how lopsided
+    and heavy-tailed the two columns are together, and the smaller number of distinct values (a pair of few values is better shown as a
+    table). One aggregate over the table."""
     pairs = [(a, b) for i, a in enumerate(columns) for b in columns[i + 1 :]]
-    one = df.agg(*[F.corr(a, b).alias(f"c_{a}_{b}") for a, b in pairs])
-    rows = F.array(*[F.struct(F.lit(a).alias("xcol"), F.lit(b).alias("ycol"), (1 - F.abs(F.coalesce(F.col(f"c_{a}_{b}"), F.lit(1.0)))).alias("score")) for a, b in pairs])
+    each = [f(c).alias(f"{n}_{c}") for c in columns for n, f in (("s", F.skewness), ("k", F.kurtosis), ("d", lambda c: F.approx_count_distinct(c, 0.02)))]
+    one = df.agg(*[F.corr(a, b).alias(f"c_{a}_{b}") for a, b in pairs], *each)
+    both = lambda n, a, b: F.abs(F.col(f"{n}_{a}")) + F.abs(F.col(f"{n}_{b}"))
+    rows = F.array(*[F.struct(F.lit(a).alias("xcol"), F.lit(b).alias("ycol"), (1 - F.abs(F.coalesce(F.col(f"c_{a}_{b}"), F.lit(1.0)))).alias("score"), both("s", a, b).alias("skew"), both("k", a, b).alias("tails"), F.least(f"d_{a}", f"d_{b}").alias("distinct")) for a, b in pairs])
     return one.select(F.inline(rows))
 
 
+def advise_manually(df: DataFrame, pairs: list[tuple[str, str]]) -> DataFrame:
+    """(xcol, ycol): the pairs that someone named, after a check that both columns are there and hold numbers or times."""
+    kinds = dict(df.dtypes)
+    for c in {c for pair in pairs for c in pair}:
+        if c not in kinds or kinds[c].split("(")[0] not in ("tinyint", "smallint", "int", "bigint", "float", "double", "decimal", "date", "timestamp", "timestamp_ntz", "boolean"):
+            raise ValueError(f"{c} is no column that a plot has an axis for")
+    return df.sparkSession.createDataFrame(pairs, "xcol string, ycol string")
+
+
 def weighted_average(sample: DataFrame, by: str, value: str = "value") -> DataFrame:
     """(by, estimate, rows): a group's mean and size from a sample whose members carry density weights."""
     return sample.groupBy(by).agg((F.sum(F.col("density") * F.col(value)) / F.sum("density")).alias("estimate"), F.sum("density").alias("rows"))

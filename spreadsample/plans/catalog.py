@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from spreadsample.functions.runtime import bounded
 from spreadsample.operators import baselines as bl
 from spreadsample.operators import density, measures
 from spreadsample.operators import exchange as ex
@@ -16,9 +17,10 @@ BLOCK_ROWS = 2_000_000
 def spread_sample(points: DataFrame, k: int, eps: float, rows: int, durable) -> DataFrame:
     """The build for any size: one exact block while a task can read it in reasonable time, else tiled. Every row is offered
     at any size, so a sample has min(k, rows) rows."""
+    variant = ex.choose_variant(k, k * 100 * eps * eps)  # members within the radius, were they even over the unit box
     if rows <= BLOCK_ROWS:
-        return ex.exchange(points, k, eps, variant=ex.choose_variant(k, k * 100 * eps * eps))
-    return ex.exchange_tiles(durable(points.select("id", "x", "y")), k, eps, n_tiles=max(16, rows // BLOCK_ROWS), variant=ex.choose_variant(k, k * 100 * eps * eps))
+        return ex.exchange(points, k, eps, variant=variant)
+    return ex.exchange_tiles(durable(points.select("id", "x", "y")), k, eps, n_tiles=max(16, rows // BLOCK_ROWS), variant=variant)
 
 
 def build(spark: SparkSession, points: dict[str, DataFrame], ks: list[int], path: str, eps: float, durable, methods: tuple[str, ...] = ("uniform", "grid", "spread")) -> DataFrame:
@@ -28,7 +30,7 @@ def build(spark: SparkSession, points: dict[str, DataFrame], ks: list[int], path
         rows = p.count()
         for k in ks:
             for method in methods:
-                kept = {"uniform": lambda p=p, k=k: bl.uniform(p, k), "grid": lambda p=p, k=k: bl.balanced_grid(p, k), "spread": lambda p=p, k=k, n=rows: p.join(F.broadcast(spread_sample(p, k, eps, n, durable).select("id")), "id", "left_semi")}[method]()
+                kept = {"uniform": lambda p=p, k=k: bl.uniform(p, k), "grid": lambda p=p, k=k: bl.balanced_grid(p, k), "spread": lambda p=p, k=k, n=rows: p.join(bounded(spread_sample(p, k, eps, n, durable).select("id"), k), "id", "left_semi")}[method]()
                 kept = durable(kept.select("id", "x", "y", "value", "category"))
                 weighed = kept.join(density.by_index(kept, p), "id")
                 cols = {"dataset": F.lit(dataset), "method": F.lit(method), "k": F.lit(k)}

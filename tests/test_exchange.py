@@ -30,7 +30,7 @@ def total(work):
 def test_variants_agree_and_objective_descends(seed):
     ids, x, y = cloud(60, seed)
     sets = []
-    for variant in ("add_drop", "burden_test", "recompute", "local"):
+    for variant in ("add_drop", "burden_test", "recompute", "local", "heap"):
         work = ex.WorkingSet(6, EPS, variant=variant, tol=1e-300)
         last = None
         for i in range(len(ids)):
@@ -162,3 +162,76 @@ def test_pair_exchange_and_equivalence_read_the_whole_point_set(spark, monkeypat
     assert [tuple(r) for r in queries.R.queries["s_exchange_pairs"](spark, sf).collect()] == [(4, 4)]
     assert [tuple(r) for r in queries.R.queries["c_equivalence"](spark, sf).collect()] == [(6,)]
     assert n > 60 and read == [n * (n - 1) // 2, n, n, n]
+
+
+@pytest.mark.parametrize("seed", range(5))
+def test_local_variants_decide_alike_in_any_batches(seed):
+    ids, x, y = cloud(3000, seed)
+    sets = []
+    for variant in ("local", "heap"):
+        for step in (1, 7, 3000):
+            work = ex.WorkingSet(60, 0.01, variant=variant)
+            for lo in range(0, len(ids), step):
+                work.offer(ids[lo : lo + step], x[lo : lo + step], y[lo : lo + step])
+            assert np.allclose(work.b, work.exact_burdens())
+            sets.append(frozenset(work.id))
+    assert len(set(sets)) == 1
+
+
+def test_heap_knows_the_largest_and_its_ties():
+    b = np.array([1.0, 3.0, 3.0, 2.0])
+    heap = ex.BurdenHeap(b)
+    assert heap.top() == 3 and sorted(heap.tied(1e-12)) == [1, 2]
+    b[1] = b[2] = 0.5
+    heap.push(np.array([1, 2]))
+    assert heap.top() == 2 and heap.tied(1e-12) == [3]
+
+
+def test_a_stopped_scan_holds_k_rows_seen_so_far():
+    ids, x, y = cloud(20_000, 1)
+    work = ex.WorkingSet(50, 0.02)
+    assert not work.offer(ids, x, y, until=0.0)
+    assert work.n == 50 and work.rows == 50 and work.offer(ids[50:], x[50:], y[50:])
+
+
+def test_greedy_start_takes_what_adds_least(spark):
+    rows = list(zip(*cloud(60, 9)))
+    got = [r["id"] for r in ex.greedy_start(frame(spark, rows), 8, EPS).collect()]
+    place, left = {r[0]: r[1:] for r in rows}, [r["id"] for r in baselines.uniform(frame(spark, rows), 60).orderBy(baselines.hashed(7)).collect()]
+    want = [left.pop(0)]
+    while len(want) < 8:
+        cost = [sum(np.exp(-((place[i][0] - place[j][0]) ** 2 + (place[i][1] - place[j][1]) ** 2) / (2 * EPS * EPS)) for j in want) for i in left]
+        want.append(left.pop(int(np.argmin(cost))))
+    assert got == want and ex.greedy_start(frame(spark, []), 3, EPS).count() == 0 and ex.greedy_start(frame(spark, rows), 99, EPS).count() == 60
+
+
+def test_swaps_are_counted_like_by_hand(spark):
+    rows = list(zip(*cloud(80, 4)))
+    p, s = frame(spark, rows), frame(spark, rows[:12])
+    k = lambda a, b: np.exp(-((a[1] - b[1]) ** 2 + (a[2] - b[2]) ** 2) / (2 * 0.05**2))
+    burden = {m[0]: sum(k(m, o) for o in rows[:12] if o is not m) for m in rows[:12]}
+    want = sum(sum(k(t, o) for o in rows[:12]) - k(t, m) < burden[m[0]] - 1e-12 for t in rows[12:] for m in rows[:12])
+    assert certify.improving_swaps(p, s, 0.05).first()[0] == want and certify.improving_swaps(p, s.limit(0), 0.05).first()[0] == 0
+
+
+def test_hydrate_brings_whole_rows(spark):
+    p = frame(spark, list(zip(*cloud(50, 2))))
+    got = ex.hydrate(p, ex.exchange(p, 7, EPS), 7).collect()
+    assert len(got) == 7 and sorted(r["sample_rank"] for r in got) == list(range(1, 8)) and {"value", "category", "burden"} <= set(got[0].asDict())
+
+
+def test_average_ranks_over_ranges(spark):
+    from spreadsample.functions.runtime import durable
+
+    values = [5, 1, 1, 3, 5, 5, 2]
+    got = {r["value"]: (r["n"], r["rank"]) for r in measures.average_ranks(spark.createDataFrame([(float(v),) for v in values], "v double"), "v", durable).collect()}
+    assert got == {1: (2, 1.5), 2: (1, 3), 3: (1, 4), 5: (3, 6)}
+
+
+def test_manual_advice_checks_columns(spark):
+    from spreadsample.plans import budget
+
+    p = frame(spark, [("a", 0, 0)])
+    assert budget.advise_manually(p, [("x", "y")]).collect()[0].asDict() == {"xcol": "x", "ycol": "y"}
+    with pytest.raises(ValueError):
+        budget.advise_manually(p, [("x", "category")])
