@@ -84,7 +84,7 @@ FROM documents d LEFT JOIN (
 OP8_SQL = """
 WITH d AS (
   SELECT doc_id, source, CAST(coalesce(len(regexp_extract_all(text, '[^\\x20\\x09-\\x0D]+')), 0) AS BIGINT) AS size,
-         md5(coalesce(CAST(doc_id AS VARCHAR), '')) AS h FROM documents),
+         md5(coalesce(CAST(doc_id AS VARCHAR), 'null:' || md5(coalesce(text, '')))) AS h FROM documents),
 p AS (SELECT source, CAST(sum(size) AS BIGINT) AS source_size, row_number() OVER (ORDER BY source NULLS LAST) - 1 AS sid FROM d GROUP BY source),
 q AS (SELECT *, sid % 3 + 1 AS w, 3 * source_size AS cap FROM p),
 r AS (SELECT *, CAST(sum(cap) OVER f AS BIGINT) - cap AS before,
@@ -92,13 +92,22 @@ r AS (SELECT *, CAST(sum(cap) OVER f AS BIGINT) - cap AS before,
              CAST(sum(source_size) OVER () AS BIGINT) AS total
       FROM q WINDOW f AS (ORDER BY cap / w, sid ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW)),
 lv AS (SELECT (total - before) / remaining AS level FROM r WHERE (total - before) / remaining <= cap / w ORDER BY cap / w, sid LIMIT 1),
-t AS (SELECT source, source_size, least(CAST(cap AS DOUBLE), w * level) AS target FROM r, lv),
-s AS (SELECT doc_id, size, source_size, target, CAST(floor(target) AS BIGINT) AS words,
+t AS (SELECT source, sid, source_size, total, least(CAST(cap AS DOUBLE), w * level) AS target, CAST(floor(least(CAST(cap AS DOUBLE), w * level)) AS BIGINT) AS words FROM r, lv),
+b AS (SELECT greatest(1, least(4096, max(total) // 65536)) AS block, max(total) AS total FROM t),
+e AS (SELECT sid, words, sum(words) OVER (ORDER BY sid ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS upto, sum(words) OVER () AS every FROM t WHERE words > 0),
+reach AS (SELECT sid, CAST(upto - words AS HUGEINT) * 2147483648 // CAST(every AS HUGEINT) AS lo, CAST(upto AS HUGEINT) * 2147483648 // CAST(every AS HUGEINT) AS hi FROM e),
+slots AS (SELECT range AS id, (range * 1327217885) % 2147483648 AS u FROM range((SELECT total // block + 1 FROM b))),
+drawn AS (SELECT sid, id, row_number() OVER (PARTITION BY sid ORDER BY id) - 1 AS block FROM slots JOIN reach ON u >= lo AND u < hi),
+s AS (SELECT doc_id, sid, size, source_size, target, words,
              CAST(sum(size) OVER (PARTITION BY d.source ORDER BY h, size ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS BIGINT) - size AS start
-      FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source)
-SELECT doc_id, size, source_size, target,
-       CASE WHEN source_size = 0 THEN 0 ELSE words // source_size * size + greatest(0, least(size, words % source_size - start)) END AS taken
-FROM s
+      FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source),
+k AS (SELECT *, CASE WHEN source_size = 0 THEN 0 ELSE words // source_size * size + greatest(0, least(size, words % source_size - start)) END AS taken,
+             CASE WHEN source_size = 0 THEN 0 ELSE list_sum(list_transform(range(0, words // source_size + 1), lambda n:
+               CASE WHEN size > 0 AND least(n * source_size + start + size, words) > n * source_size + start
+                    THEN (least(n * source_size + start + size, words) - 1) // block - (n * source_size + start) // block + 1 ELSE 0 END)) END AS n_slots,
+             start // block AS nth, b.total // block + 1 AS all_slots FROM s, b)
+SELECT doc_id, size, source_size, target, taken, CASE WHEN taken > 0 THEN coalesce(id, all_slots + nth) END AS first_slot, CAST(n_slots AS BIGINT) AS n_slots
+FROM k LEFT JOIN drawn ON drawn.sid = k.sid AND drawn.block = k.nth
 """
 
 OP7_SQL = """
