@@ -1,7 +1,7 @@
 """Sharding by vector bin packing: bytes, tokens and rows are balanced together.
 
-Equal texts are a group and share a shard. Groups that hold a noticeable share of the corpus are parcels of their own (the
-largest ones in parts, since no shard could take them whole), all others are gathered into a fixed number of
+Equal texts are a group and share a shard, but for groups that exceed a shard's share of the corpus and so fit in none: those go in
+parts. Groups that hold a noticeable share are parcels of their own, all others are gathered into a fixed number of
 parcels by their hash. Only parcels, whose number is bounded by the parameters, come to the driver; each goes, largest first, to the
 shard where the dot product of its shares with the shard's residual capacity is highest.
 """
@@ -15,7 +15,8 @@ from pyspark.sql import functions as F
 from spreadsample.llm.common import durable
 from spreadsample.llm.mixing import words_in
 
-SHARDS, PARCELS, HEAVY, PARTS = 16, 4096, 1024, 256
+#: PIECES: parts in which the rows of one large group are numbered; with the bound on such groups, at most 3 * HEAVY * PIECES rows.
+SHARDS, PARCELS, HEAVY, PARTS, PIECES = 16, 4096, 1024, 256, 32
 
 
 def pack(loads: np.ndarray, shards: int) -> np.ndarray:
@@ -31,9 +32,11 @@ def pack(loads: np.ndarray, shards: int) -> np.ndarray:
 def shard(docs: DataFrame, shards: int = SHARDS, parcels: int = PARCELS, heavy: int = HEAVY, parts: int = PARTS) -> DataFrame:
     """(doc_id, size, text_crc32, law, shard, slot, grown_shard) for every row of docs (doc_id, text).
 
-    size is the UTF-8 bytes of the text plus 1; a null text counts as an empty one. Slots of a shard run from 0 without gaps, by
-    parcel and then doc_id (nulls first). Groups with over 1/heavy of the bytes, words or rows are placed by themselves,
-    those with over 1/64 in parts of about 1/parts, by doc_id; so at most parcels + 3 * (heavy + parts + 64) rows are collected."""
+    size is the UTF-8 bytes of the text plus 1; a null text counts as an empty one, and equal texts are a group, whatever their ids. Slots of
+    a shard run from 0 without gaps, by parcel, then a hash of the id (parcels of one group only), then doc_id (nulls first).
+    Repeated rows have slots of their own; ties go to the first shard. An empty table gives no rows. Groups with over 1/heavy of the bytes,
+    words or rows are placed by themselves, those with over 1/shards in parts of about 1/parts, by doc_id; so at most
+    parcels + 3 * (heavy + parts + shards) rows are collected."""
     spark = docs.sparkSession
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
     rows = durable(docs.select(F.col("doc_id").cast("long"), (F.octet_length(text) + 1).cast("long").alias("size"), F.crc32(text.cast("binary")).alias("text_crc32"), words_in(text).alias("words"), F.xxhash64(text).alias("h1"), F.xxhash64(F.lit(1), text).alias("h2")))
@@ -44,7 +47,7 @@ def shard(docs: DataFrame, shards: int = SHARDS, parcels: int = PARCELS, heavy:
     large = rows.groupBy("h1", "h2").agg(*measures).withColumn("share", share).where(F.col("share") > 1 / heavy).orderBy("h1", "h2").collect()
     own, at = [], parcels
     for g in large:
-        n = -int(-g["share"] * parts // 1) if g["share"] > 1 / 64 else 1
+        n = -int(-g["share"] * parts // 1) if g["share"] > 1 / shards else 1
         own.append((g["h1"], g["h2"], at, n))
         at += n
     heavies = F.broadcast(spark.createDataFrame(own, "h1 long, h2 long, base int, parts int"))
@@ -57,5 +60,9 @@ def shard(docs: DataFrame, shards: int = SHARDS, parcels: int = PARCELS, heavy:
         layout.append((r["parcel"], int(s), starts[s]))
         starts[s] += r["n"]
     where = F.broadcast(spark.createDataFrame(layout, "parcel int, shard int, first long"))
-    slot = F.row_number().over(Window.partitionBy("parcel").orderBy("doc_id", "h1", "h2", "size")) - 1
-    return named.join(where, "parcel").select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", (F.col("first") + slot).alias("slot"), F.lit(None).cast("int").alias("grown_shard"))
+    # a parcel of one group may hold a shard's share of all rows: its slots are counted in pieces by a hash of the id
+    named = named.withColumn("piece", F.when(F.col("base").isNull(), 0).otherwise(F.pmod(F.xxhash64("doc_id", F.lit(9)), F.lit(PIECES))).cast("int"))
+    per = named.where("piece IS NOT NULL AND base IS NOT NULL").groupBy("parcel", "piece").agg(F.count("*").alias("n"))
+    earlier = F.broadcast(per.select("parcel", "piece", (F.sum("n").over(Window.partitionBy("parcel").orderBy("piece")) - F.col("n")).alias("earlier")))
+    slot = F.coalesce("earlier", F.lit(0)) + F.row_number().over(Window.partitionBy("parcel", "piece").orderBy("doc_id", "h1", "h2", "size")) - 1
+    return named.join(where, "parcel").join(earlier, ["parcel", "piece"], "left").select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", (F.col("first") + slot).alias("slot"), F.lit(None).cast("int").alias("grown_shard"))
