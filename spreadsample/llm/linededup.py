@@ -39,7 +39,7 @@ def _ranked(pairs: DataFrame, a: str, b: str) -> DataFrame:
 
 def repeated_lines(lines: DataFrame) -> DataFrame:
     """The lines that occur more than once, with their rank r and the place of their first occurrence."""
-    groups = lines.groupBy("h1", "h2").agg(F.count("*").alias("c"), F.min(F.struct("did", "n")).alias("first")).where("c > 1").drop("c")
+    groups = lines.groupBy("h1", "h2").agg(F.count("*").alias("c"), F.min(F.struct("did", "th", "n")).alias("first")).where("c > 1").drop("c")
     return durable(lines.join(_ranked(groups, "h1", "h2"), ["h1", "h2"]).select("did", "th", "n", "w", "r", "first"))
 
 
@@ -73,7 +73,7 @@ def short_windows(active: DataFrame, least: int) -> DataFrame:
 def later_lines(docs: DataFrame, min_chars: int = MIN_CHARS) -> DataFrame:
     """(did, th, n), distinct: the lines inside later copies of repeated runs of at least min_chars."""
     active = repeated_lines(line_rows(docs))
-    place = lambda s: F.struct("did", F.col(s).alias("n"))
+    place = lambda s: F.struct("did", "th", F.col(s).alias("n"))
     found = active.where((F.col("w") >= min_chars) & (place("n") > F.col("first"))).select("did", "th", "n")
     once = active.dropDuplicates(["did", "th", "n"])  # rows that repeat both id and text stand at one place
     windows = durable(short_windows(once, min_chars))
@@ -91,17 +91,30 @@ def later_lines(docs: DataFrame, min_chars: int = MIN_CHARS) -> DataFrame:
     return found.distinct()
 
 
+def _without(lines: Column, gone: Column) -> Column:
+    """An array without the elements at distinct positions (from 0): the slices between one removed element and the next, so the work grows
+    with the array, not with its product with the removals."""
+
+    def between(x: Column) -> Column:
+        cuts, all_ = x["cuts"], x["lines"]
+        return F.flatten(F.transform(F.sequence(F.lit(1), F.size(cuts) - 1), lambda k: F.slice(all_, F.get(cuts, k - 1) + 2, F.get(cuts, k) - F.get(cuts, k - 1) - 1)))
+
+    ends = lambda x: F.concat(F.array(F.lit(-1)), F.array_sort(x["gone"]), F.array(F.size(x["lines"])))
+    held = F.transform(F.array(F.struct(lines.alias("lines"), gone.alias("gone"))), lambda x: F.struct(x["lines"].alias("lines"), ends(x).alias("cuts")))
+    return F.flatten(F.transform(held, between))
+
+
 def dedup_lines(docs: DataFrame, min_chars: int = MIN_CHARS) -> DataFrame:
     """docs (doc_id, text and any others, kept) with later copies of repeated line runs deleted from text, and n_lines and n_removed.
 
-    Documents are in the order of doc_id, null ids last, lines in their own order; the first copy of every line stays. Rows with
-    one id are one place: none is a later copy of another. Blank lines go only as part of a run. A null text stays null with
-    0 lines; a text whose lines all go is left empty. No rows are dropped."""
+    Documents are in the order of doc_id, null ids last, rows of one id (or of none) in the order of a hash of their text, lines in
+    their own order; the first copy of every line stays. Only rows that repeat both id and text stand at one place: none of them is a later
+    copy of another. Blank lines go only as part of a run. A null text stays null with 0 lines; a text whose lines all go is
+    left empty. No rows are dropped; an empty table gives none."""
     own = {c: f"in_{i}_{c}" for i, c in enumerate(docs.columns) if c not in ("doc_id", "text")}
     placed = _with_place(docs.withColumnsRenamed(own).withColumn("text", F.col("text").cast("string")))
     gone = later_lines(docs, min_chars).groupBy(*PLACE).agg(F.collect_list("n").alias("gone"))
     lines = F.split("text", "\n", -1)
-    kept = F.array_join(F.filter(lines, lambda x, i: ~F.array_contains(F.col("gone"), i)), "\n")
-    out = placed.join(gone, PLACE, "left").withColumns({"n_lines": F.when(F.col("text").isNull(), 0).otherwise(F.size(lines)), "n_removed": F.coalesce(F.size("gone"), F.lit(0)), "text": F.when(F.col("gone").isNull(), F.col("text")).otherwise(kept)})
+    out = placed.join(gone, PLACE, "left").withColumns({"n_lines": F.when(F.col("text").isNull(), 0).otherwise(F.size(lines)), "n_removed": F.coalesce(F.size("gone"), F.lit(0)), "text": F.when(F.col("gone").isNull(), F.col("text")).otherwise(F.array_join(_without(lines, F.col("gone")), "\n"))})
     count = lambda c: F.greatest(F.lit(0), F.col(c)).cast("long").alias(c)
     return out.select(*[F.col(own[c]).alias(c) if c in own else c for c in docs.columns if c not in ("n_lines", "n_removed")], count("n_lines"), count("n_removed"))
