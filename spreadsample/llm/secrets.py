@@ -19,32 +19,53 @@ ACCESS, HEX = r"AKIA[A-Z0-9]+", r"[0-9a-f]+"
 LEAST = {"assign": 12, "access": 18, "hex": 16, "markov": 20}
 KINDS = ("assign", "access", "hex", "markov")
 ALPHABET = "abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789+/_=-"
-#: A whole token with a digit in it.
-CANDIDATE = r"(?<![A-Za-z0-9+/_=-])(?=[A-Za-z+/_=-]*[0-9])[A-Za-z0-9+/_=-]{20,}"
-RANDOM_SAMPLE, ORDINARY_DOCS, PER_STEP = 2048, 2000, 0.9
-SPAN = "array<struct<start:int,rank:int,end:int>>"
+#: A whole token; the ratio that it must reach, higher where it has no digit, as most identifiers have none.
+CANDIDATE = r"(?<![A-Za-z0-9+/_=-])[A-Za-z0-9+/_=-]{20,}"
+RANDOM_SAMPLE, ORDINARY_DOCS, PER_STEP, PER_STEP_LETTERS = 2048, 2000, 0.9, 1.1
+#: Elements of an array that a nested function goes over at once.
+CHUNK = 128
+SPAN, TOKENS = "array<struct<start:int,rank:int,end:int>>", "array<struct<start:int,rank:int,end:int,token:string>>"
 
 
-def matches(text: Column, pattern: str, rank: int, group: int | None = None, least: int = 0) -> Column:
-    """Spans of the leftmost non-overlapping matches whose group (or whole) has at least `least` code points."""
-    lazy = F.lit(rf"(?s)\G(.*?)({pattern})")  # \G: after the last match, one pass to the end and no new starts
-    part = lambda g: F.regexp_extract_all(text, lazy, F.lit(g))
-    zipped = F.arrays_zip(part(1).alias("gap"), part(2).alias("hit"), part(3 if group else 2).alias("value"))
-    sized = F.transform(zipped, lambda x: F.struct(F.length(x["gap"]).alias("gap"), F.length(x["hit"]).alias("hit"), F.length(x["value"]).alias("value")))
-    none = F.array().cast(SPAN)
-    span = lambda s, x: F.struct((s["at"] + x["gap"]).alias("start"), F.lit(rank).alias("rank"), (s["at"] + x["gap"] + x["hit"]).alias("end"))
-    step = lambda s, x: F.struct((s["at"] + x["gap"] + x["hit"]).alias("at"), F.when(x["value"] >= least, F.concat(s["out"], F.array(span(s, x)))).otherwise(s["out"]).alias("out"))
-    found = F.aggregate(sized, F.struct(F.lit(0).alias("at"), none.alias("out")), step, lambda s: s["out"])
-    return F.when(text.rlike(pattern), found).otherwise(none)
+def chunked(items: Column) -> Column:
+    """An array in pieces of CHUNK elements."""
+    return F.when(F.size(items) > 0, F.transform(F.sequence(F.lit(0), F.floor((F.size(items) - 1) / CHUNK).cast("int")), lambda c: F.slice(items, c * CHUNK + 1, F.lit(CHUNK)))).otherwise(F.array())
+
+
+def matches(text: Column, pattern: str, rank: int, group: int | None = None, least: int = 0, kind: str = SPAN) -> Column:
+    """Spans of the leftmost non-overlapping matches whose group (or whole) has at least `least` code points; of kind TOKENS with what they hold.
+
+    One pass extracts each match with the gap before it; where the match begins there, and how long its value is, comes from that short
+    string. Places are sums of lengths: of the chunks before, then of the elements before in the chunk, so the work does not grow with
+    the square of the matches."""
+    lazy = F.lit(rf"(?s)\G(.*?)(?:{pattern})")  # \G: after the last match, one pass to the end and no new starts
+    found = F.transform(F.regexp_extract_all(text, lazy, F.lit(0)), lambda z: F.struct(z.alias("z"), (F.regexp_instr(z, F.lit(pattern)) - 1).alias("gap")))
+    value = lambda x: F.length(F.call_function("regexp_extract", x["z"].substr(x["gap"] + 1, F.length(x["z"])), F.lit(pattern), F.lit(group))) if group else F.length(x["z"]) - x["gap"]
+    sized = F.transform(found, lambda x: F.struct(x["gap"].alias("gap"), (F.length(x["z"]) - x["gap"]).alias("hit"), value(x).alias("value"), x["z"].alias("z")))
+    length = lambda items: F.aggregate(items, F.lit(0), lambda s, x: s + x["gap"] + x["hit"])
+
+    def placed(chunks: Column) -> Column:
+        """chunks with the place at which each begins."""
+        totals = F.transform(chunks, length)
+        return F.transform(F.array(F.struct(chunks.alias("chunks"), totals.alias("totals"))), lambda h: F.transform(h["chunks"], lambda c, i: F.struct(c.alias("items"), F.aggregate(F.slice(h["totals"], F.lit(1), i), F.lit(0), lambda s, x: s + x).alias("at"))))
+
+    def spans(chunk: Column) -> Column:
+        start = lambda x, i: chunk["at"] + length(F.slice(chunk["items"], F.lit(1), i)) + x["gap"]
+        both = F.transform(chunk["items"], lambda x, i: F.struct(start(x, i).alias("start"), x["hit"].alias("hit"), x["value"].alias("value"), *([x["z"].substr(x["gap"] + 1, x["hit"]).alias("token")] if kind == TOKENS else [])))
+        return F.transform(F.filter(both, lambda x: x["value"] >= least), lambda x: F.struct(x["start"].alias("start"), F.lit(rank).alias("rank"), (x["start"] + x["hit"]).alias("end"), *([x["token"].alias("token")] if kind == TOKENS else [])))
+
+    held = F.transform(F.array(sized), chunked)  # an array of one, so that what it holds is evaluated once
+    all_spans = F.flatten(F.transform(F.flatten(F.transform(held, placed)), lambda ones: F.flatten(F.transform(ones, spans))))
+    return F.when(text.rlike(pattern), all_spans).otherwise(F.array()).cast(kind)
+
+
+def base_pattern(kind: str) -> str:
+    """A run of hexadecimal digits, and all after AKIA, is one match: a least length in the pattern drops what a filter would."""
+    return {"assign": ASSIGN, "access": ACCESS[:-1] + "{%d,}" % (LEAST["access"] - 4), "hex": HEX[:-1] + "{%d,}" % LEAST["hex"]}[kind]
 
 
 def base_spans(text: Column) -> list[Column]:
-    return [
-        matches(text, ASSIGN, 0, 1, LEAST["assign"]),
-        # a run of hexadecimal digits, and all after AKIA, is one match: a least length in the pattern drops what a filter would
-        matches(text, ACCESS[:-1] + "{%d,}" % (LEAST["access"] - 4), 1),
-        matches(text, HEX[:-1] + "{%d,}" % LEAST["hex"], 2),
-    ]
+    return [matches(text, ASSIGN, 0, 1, LEAST["assign"]), matches(text, base_pattern("access"), 1), matches(text, base_pattern("hex"), 2)]
 
 
 def transitions(samples: DataFrame) -> DataFrame:
@@ -96,18 +117,22 @@ def joined_spans(spans: Column) -> Column:
     return F.array_join(F.transform(F.array_sort(spans), lambda x: F.concat_ws(":", kind(x), x["start"].cast("string"), x["end"].cast("string"))), ",")
 
 
-def scan(docs: DataFrame, per_step: float = PER_STEP, **options) -> DataFrame:
+def scan(docs: DataFrame, per_step: float = PER_STEP, per_letters: float = PER_STEP_LETTERS, **options) -> DataFrame:
     """(doc_id, assign, access, hex, markov): the spans of each kind (start, rank, end) in every row of docs (doc_id, text).
 
     A null text is an empty one and has no spans. Markov spans are runs of at least 20 characters of base64 and identifiers that meet
-    no other span, hold a digit and reach per_step; repeated rows are scanned as they come."""
+    no other span and reach per_step, or per_letters if they hold no digit; repeated rows are scanned as they come, an empty table gives no
+    rows."""
     ratios = trained(docs, **options)
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
-    found = docs.select("doc_id", text.alias("text")).select("doc_id", "text", *[c.alias(k) for k, c in zip(KINDS, base_spans(F.col("text")))], matches(F.col("text"), CANDIDATE, 3).alias("likely"))
-    clash = lambda x: F.exists(F.concat("assign", "access", "hex"), lambda b: (b["start"] < x["end"]) & (x["start"] < b["end"]))
-    token = lambda x: F.col("text").substr(x["start"] + 1, x["end"] - x["start"])
-    random = lambda x: ~clash(x) & (ratio_per_step(token(x), ratios) >= per_step)
-    return found.select("doc_id", "assign", "access", "hex", F.filter("likely", random).alias("markov"))
+    found = docs.select("doc_id", text.alias("text")).select("doc_id", "text", *[c.alias(k) for k, c in zip(KINDS, base_spans(F.col("text")))], matches(F.col("text"), CANDIDATE, 3, kind=TOKENS).alias("likely")).drop("text")
+    found = found.withColumn("near", F.transform(chunked(F.col("assign")), lambda c: F.struct(c.alias("items"), c[0]["start"].alias("start"), F.element_at(c, -1)["end"].alias("end"))))
+    token = lambda x: x["token"]
+    meets = lambda a, b: (a["start"] < b["end"]) & (b["start"] < a["end"])
+    # access and hex spans lie inside a token, assignments may begin before it: those are looked for chunk by chunk
+    clash = lambda x, t: t.rlike(base_pattern("access")) | t.rlike(base_pattern("hex")) | F.exists("near", lambda c: meets(c, x) & F.exists(c["items"], lambda b: meets(b, x)))
+    random = lambda x: ~clash(x, token(x)) & (ratio_per_step(token(x), ratios) >= F.when(token(x).rlike("[0-9]"), per_step).otherwise(per_letters))
+    return found.select("doc_id", "assign", "access", "hex", F.transform(F.filter("likely", random), lambda x: F.struct(x["start"].alias("start"), x["rank"].alias("rank"), x["end"].alias("end"))).cast(SPAN).alias("markov"))
 
 
 def digests(docs: DataFrame, **options) -> DataFrame:
