@@ -8,41 +8,50 @@ forward pass that runs over many words at once through a trie held as an array.
 from __future__ import annotations
 
 import re
+import unicodedata
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import regex
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from spreadsample.llm.bpe import chunks
 
-MARK, LONGEST, MAX_PIECE, LUT = "▁", 24, 6, 0x3000
+MARK, LONGEST, LUT = "▁", 24, 0x110000
+#: Letters in no piece share one for each 256 code points, so that scripts stay apart.
+OTHER = LUT >> 8
 DOCS_PER_LANG, WORDS_PER_LANG, ROUNDS, SMOOTH = 2000, 20_000, 4, 0.1
-CACHED_WORDS = 150_000
+CACHED_WORDS, LANGUAGES = 150_000, 4096
 UNKNOWN = "und"
 
 
-def vocabulary(path: str, max_piece: int = MAX_PIECE) -> list[str]:
-    """The lower-case pieces of letters in a sentencepiece model, a leading mark for word begin, and the mark itself."""
+def vocabulary(path: str) -> list[str]:
+    """The pieces of lower-case letters (and their marks) in a sentencepiece model, a leading mark for word begin, and the mark itself.
+    Texts are lower-cased, so pieces with capitals could never be used."""
     import sentencepiece
 
     model = sentencepiece.SentencePieceProcessor(model_file=path)
     pieces = {model.id_to_piece(i) for i in range(model.get_piece_size())}
-    body = lambda p: p.removeprefix(MARK)
-    return sorted(p for p in pieces if len(p) <= max_piece and (body(p).isalpha() and p == p.lower() and max(map(ord, body(p))) < LUT or p == MARK))
+    return sorted(p for p in pieces if p == MARK or (body := p.removeprefix(MARK)) and body == body.lower() and all(c.isalpha() or unicodedata.category(c)[0] == "M" for c in body))
 
 
 class Segmenter:
-    """Likelihoods of words under unigram pieces. Letters outside the vocabulary share one single-letter piece."""
+    """Likelihoods of words under unigram pieces. Letters of longer pieces walk a trie, a table of nodes and letters; letters that
+    are pieces by themselves alone, and those in none, are looked up by code point."""
 
     def __init__(self, pieces: list[str]):
         common = sorted({c for p in pieces if len(p.removeprefix(MARK)) > 1 for c in p} | {MARK})
-        self.code = np.zeros(LUT, np.uint8 if len(common) < 255 else np.uint16)
+        self.code = np.zeros(LUT, np.uint16)
         for i, c in enumerate(common):
             self.code[ord(c)] = i + 1
+        singles = sorted({c for p in pieces for c in p} - set(common))
         pieces = sorted({p for p in pieces if all(self.code[ord(c)] for c in p)} | set(common))
-        self.n_pieces = len(pieces) + 1  # the last is any other letter
+        self.n_pieces = len(pieces) + len(singles) + OTHER
+        self.single = len(pieces) + len(singles) + (np.arange(LUT) >> 8).astype(np.int32)  # the piece of a letter outside the trie
+        for i, c in enumerate(singles):
+            self.single[ord(c)] = len(pieces) + i
         rows, ends = [dict()], [-1]
         for k, p in enumerate(pieces):
             node = 0
@@ -52,9 +61,6 @@ class Segmenter:
                     rows.append({})
                     ends.append(-1)
             ends[node] = k
-        rows[0][0] = len(rows)
-        rows.append({})
-        ends.append(self.n_pieces - 1)
         dead = len(rows)
         self.child = np.full((dead + 1, len(common) + 1), dead, np.int32)
         for v, row in enumerate(rows):
@@ -65,28 +71,31 @@ class Segmenter:
         self.depth = max(map(len, pieces))
         self.dead = dead
 
-    def codes(self, words: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """Order of falling length, lengths in that order, and the letters as columns."""
+    def codes(self, words: list[str]) -> tuple[np.ndarray, np.ndarray, tuple[np.ndarray, np.ndarray]]:
+        """Order of falling length, lengths in that order, and as columns the letters' codes and the pieces of those without a code."""
         marked = [MARK + w for w in words]
         sizes = np.array([len(w) for w in marked])
         points = np.frombuffer("".join(marked).encode("utf-32-le"), np.uint32)
-        flat = self.code[np.minimum(points, LUT - 1)] * (points < LUT)
-        grid = np.zeros((sizes.max(), len(words)), np.intp)
+        flat, alone = self.code[points], self.single[points]
+        grid, lone = np.zeros((sizes.max(), len(words)), np.intp), np.zeros((sizes.max(), len(words)), np.int32)
         order = np.argsort(-sizes, kind="stable")
         starts = np.cumsum(sizes) - sizes
         for p in range(len(grid)):
             n = np.count_nonzero(sizes > p)
-            grid[p, :n] = flat[starts[order[:n]] + p]
-        return order, sizes[order], grid
+            at = starts[order[:n]] + p
+            grid[p, :n], lone[p, :n] = flat[at], alone[at]
+        return order, sizes[order], (grid, lone)
 
-    def arcs(self, sizes: np.ndarray, grid: np.ndarray) -> Iterator[tuple[int, int, int, np.ndarray]]:
+    def arcs(self, sizes: np.ndarray, letters: tuple[np.ndarray, np.ndarray]) -> Iterator[tuple[int, int, int, np.ndarray]]:
         """(from, to, words, piece) for all letters spans that may be pieces; only the first `words` are so long."""
+        grid, lone = letters
         for p in range(len(grid)):
             node = np.zeros(np.count_nonzero(sizes > p), np.int32)
             for q in range(p, min(len(grid), p + self.depth)):
                 n = np.count_nonzero(sizes > q)
                 node = self.child[node[:n], grid[q, :n]]
-                yield p, q + 1, n, self.piece[node]
+                piece = self.piece[node]
+                yield p, q + 1, n, np.where(grid[p, :n] == 0, lone[p, :n], piece) if q == p else piece
                 if not (node != self.dead).any():
                     break
 
@@ -94,7 +103,7 @@ class Segmenter:
         """Log-likelihood (words x languages): the sum over all segmentations. probability: pieces x languages."""
         order, sizes, grid = self.codes(words)
         table = np.vstack((probability, np.zeros(probability.shape[1])))
-        alpha = np.zeros((len(grid) + 1, len(words), probability.shape[1]))
+        alpha = np.zeros((len(grid[0]) + 1, len(words), probability.shape[1]))
         alpha[0] = 1
         for p, q, n, piece in self.arcs(sizes, grid):
             alpha[q, :n] += alpha[p, :n] * table[piece]
@@ -107,7 +116,7 @@ class Segmenter:
         order, sizes, grid = self.codes(words)
         table = np.append(probability, 0.0)
         arcs = list(self.arcs(sizes, grid))
-        alpha, beta = np.zeros((2, len(grid) + 1, len(words)))
+        alpha, beta = np.zeros((2, len(grid[0]) + 1, len(words)))
         alpha[0] = 1
         for p, q, n, piece in arcs:
             alpha[q, :n] += alpha[p, :n] * table[piece]
@@ -136,13 +145,16 @@ def learned(docs: DataFrame, path: str, per_lang: int = DOCS_PER_LANG, words_per
     """Pieces, languages and probabilities, from about per_lang documents of each language (chosen by a hash of the id among those not
     held out) and their words_per_lang commonest words."""
     usable = docs.where(~held_out(F.col("doc_id")) & F.col("doc_id").isNotNull() & F.col("lang").isNotNull() & F.col("text").isNotNull())
-    sizes = usable.groupBy("lang").count().collect()  # one row per language
+    counted = usable.groupBy("lang").count().orderBy(F.desc("count"), "lang")
+    sizes = counted.limit(LANGUAGES + 1).collect()
+    if len(sizes) > LANGUAGES:
+        raise ValueError(f"lang has over {LANGUAGES} values: no table of languages")
     segmenter = Segmenter(vocabulary(path))
     if not sizes:
         return segmenter, [], np.zeros((segmenter.n_pieces, 0))
     share = F.create_map(*[x for r in sizes for x in (F.lit(r["lang"]), F.lit(per_lang / r["count"]))])
     sample = usable.where(F.pmod(F.xxhash64("doc_id", F.lit(3)), F.lit(1_000_000)) < F.element_at(share, F.col("lang")) * 1_000_000)
-    words = sample.select("lang", F.explode(F.regexp_extract_all(F.lower("text"), F.lit(rf"\p{{L}}{{1,{LONGEST}}}"), F.lit(0))).alias("word")).groupBy("lang", "word").count()
+    words = sample.select("lang", F.explode(F.regexp_extract_all(F.lower("text"), F.lit(rf"[\p{{L}}\p{{M}}]{{1,{LONGEST}}}"), F.lit(0))).alias("word")).where(F.col("word").rlike(r"\p{L}")).groupBy("lang", "word").count()
     best = words.withColumn("r", F.row_number().over(Window.partitionBy("lang").orderBy(F.desc("count"), "word"))).where(F.col("r") <= words_per_lang)
     found: dict[str, list] = {}
     for r in best.orderBy("lang", "r").collect():
@@ -153,13 +165,15 @@ def learned(docs: DataFrame, path: str, per_lang: int = DOCS_PER_LANG, words_per
 
 def predictor(segmenter: Segmenter, langs: list[str], probability: np.ndarray):
     """A function from lists of texts to (languages, scores); words that it has met are kept, up to a bound."""
-    letters = re.compile(r"[^\W\d_]{1,%d}" % LONGEST)
+    letters, scripts = re.compile(r"[^\W\d_]{1,%d}" % LONGEST), re.compile("[\u0300-\u1dff\u20d0-\u20ff\u2c00-\U0010ffff]")
+    with_marks = regex.compile(r"[\p{L}\p{M}]{1,%d}" % LONGEST)  # slower, for texts that may have combining marks
+    in_text = lambda t: (with_marks if scripts.search(t) else letters).findall(t)
     known: dict[str, int] = {}
     table = np.zeros((0, len(langs)))
 
     def predict(texts: list[str]) -> tuple[list[str], list[float]]:
         nonlocal known, table
-        words = [letters.findall(t.lower()) for t in texts]
+        words = [in_text(t.lower()) for t in texts]
         counts = np.array([len(w) for w in words], np.int64)
         flat = [w for ws in words for w in ws]
         if len(known) > CACHED_WORDS:
@@ -168,7 +182,7 @@ def predictor(segmenter: Segmenter, langs: list[str], probability: np.ndarray):
         for s in range(0, len(new), 20_000) if langs else ():
             part = new[s : s + 20_000]
             known.update(zip(part, range(len(known), len(known) + len(part))))
-            spelt = ["".join(filter(str.isalpha, w)) for w in part]  # \w has some numerals too
+            spelt = ["".join(c for c in w if not c.isnumeric() or c.isalpha()) if any(map(str.isalpha, w)) else "" for w in part]  # \w has some numerals too
             found = segmenter.forward([w or "a" for w in spelt], probability)
             found[[i for i, w in enumerate(spelt) if not w]] = 0
             table = np.vstack((table, found))
@@ -191,7 +205,8 @@ def identify(docs: DataFrame, path: str, **options) -> DataFrame:
     """(doc_id, held_out, lang_pred, score) for every row of docs (doc_id, text, lang). Only texts are read to predict.
 
     score is the predicted language's posterior under equal priors. A text that is null or has no letter, and any text if nothing could be
-    learned, is `und` with score 0; ties go to the first language by name. Words beyond 24 letters are read as words of 24 letters and the rest."""
+    learned, is `und` with score 0; ties go to the first language by name. Words beyond 24 letters are read as words of 24 letters and the rest.
+    Repeated rows are predicted alike; an empty table gives no rows."""
     docs = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"), F.col("lang").cast("string"))
     model = learned(docs, path, **options)
 
