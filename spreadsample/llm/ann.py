@@ -19,10 +19,11 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from spreadsample.llm.common import durable
-from spreadsample.llm.vectors import dimension, matrix, usable
+from spreadsample.llm.vectors import by_share, dimension, matrix, usable
 
 FIT_SAMPLE, CALIBRATION, TARGET = 20_000, 96, 0.97
-BRANCHES, LEAF_ROWS, LEAF_BLOCK, BUNDLE = 8, 256, 4096, 16384
+#: ASKED: questions that a bundle's rows meet in one task, about.
+BRANCHES, LEAF_ROWS, LEAF_BLOCK, BUNDLE, ASKED = 8, 256, 4096, 16384, 32768
 
 
 @dataclass
@@ -113,8 +114,8 @@ def search(vectors: DataFrame, is_query: Column, k: int = 10, target: float = TA
     """(query_id, rank, vec_id, score): for each row of vectors (vec_id, embedding) with is_query, the k
     nearest other ids found, by Euclidean distance in double precision, ties to the smaller id.
 
-    Null ids, null or zero vectors, null or non-finite components and vectors of an uncommon length take no part, as query or
-    candidate. Rows that repeat a query's id are its own and no candidates for it; other repeated rows are kept. With
+    Null ids, null or zero vectors and null or non-finite components take no part, as query or candidate. Distances are between vectors of
+    one length: those of the commonest go through the tree, the others, of each length, are compared in blocks. Rows that repeat a query's id are its own and no candidates for it; other repeated rows are kept. With
     fewer than k candidates all are returned; with none, or no queries, no rows.
 
     The fit sample, the calibration queries and the number of leaves (at most fit_sample) are bounded, so the tree and its
@@ -123,12 +124,12 @@ def search(vectors: DataFrame, is_query: Column, k: int = 10, target: float = TA
     spark = vectors.sparkSession
     rows = vectors.select(F.col("vec_id").cast("long"), "embedding", F.coalesce(is_query, F.lit(False)).alias("asked")).where(F.col("vec_id").isNotNull() & usable(F.col("embedding")))
     d = dimension(rows, "embedding")
+    rest = _in_blocks(rows.where(F.size("embedding") != d), k, leaf_block).select("query_id", F.col("rank").cast("int"), "vec_id", "score")
     rows = rows.where(F.size("embedding") == d)
     total, asked = rows.agg(F.count("*"), F.count_if("asked")).first()
     if not asked:
-        return spark.createDataFrame([], schema)
-    by_hash = F.xxhash64("vec_id", F.lit(seed))
-    sample = np.array([r[0] for r in rows.orderBy(by_hash, "vec_id").select("embedding").limit(fit_sample).collect()], np.float64)
+        return rest if total else spark.createDataFrame([], schema)
+    sample = np.array([r[0] for r in by_share(rows, F.col("vec_id"), fit_sample, total).orderBy(F.xxhash64("vec_id", F.lit(seed)), "vec_id").select("embedding").collect()] or [rows.first()["embedding"]], np.float64)
     tree = Tree()
     tree.grow(sample, max(BRANCHES, round(leaf_rows * len(sample) / total)), BRANCHES, np.random.default_rng(seed))
 
@@ -142,7 +143,7 @@ def search(vectors: DataFrame, is_query: Column, k: int = 10, target: float = TA
     counts = np.zeros(len(tree.leaf_of), np.int64)
     for leaf, n in placed.groupBy("leaf").count().collect():  # at most as many rows as the tree has leaves
         counts[leaf] = n
-    visits = _calibrated(placed, tree, counts, k, target, calibration, by_hash)
+    visits = _calibrated(placed, tree, counts, k, target, calibration, asked)
     blocks = np.maximum(1, -(-counts // leaf_block))
     # units (a leaf's blocks, leaf by leaf) are gathered into bundles of about BUNDLE rows: neighbours in the tree share a task
     first_unit = np.cumsum(blocks) - blocks
@@ -193,10 +194,30 @@ def search(vectors: DataFrame, is_query: Column, k: int = 10, target: float = TA
 
     layout = spark.createDataFrame([(int(leaf), int(u - first_unit[leaf]), int(bundle_of[u])) for leaf in range(len(blocks)) for u in range(first_unit[leaf], first_unit[leaf] + blocks[leaf])], "leaf int, block long, bundle long")
     parts = spark.createDataFrame([(i, int(x)) for i, x in enumerate(blocks)], "leaf int, blocks long")
-    held = placed.join(F.broadcast(parts), "leaf").withColumn("block", F.pmod(F.xxhash64("vec_id", F.lit(1)), F.col("blocks"))).join(layout, ["leaf", "block"]).select("vec_id", "embedding", "leaf", "bundle")
-    queries = placed.where("asked").select("vec_id", "embedding").mapInArrow(ask, f"query_id long, q {kind}, bundle long, leaves array<int>")
-    scored = queries.groupBy("bundle").cogroup(held.groupBy("bundle")).applyInArrow(compare, "query_id long, vec_id long, score double")
-    return _top(scored, k).select("query_id", F.col("rank").cast("int"), "vec_id", "score")
+    # questions of a bundle are many tasks where they are many; its rows go to each of them
+    salts = max(1, round(asked * visits / max(1, bundle_of.max() + 1) / ASKED))
+    held = placed.join(F.broadcast(parts), "leaf").withColumn("block", F.pmod(F.xxhash64("vec_id", F.lit(1)), F.col("blocks"))).join(layout, ["leaf", "block"]).select("vec_id", "embedding", "leaf", "bundle", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))).alias("salt"))
+    queries = placed.where("asked").select("vec_id", "embedding").mapInArrow(ask, f"query_id long, q {kind}, bundle long, leaves array<int>").withColumn("salt", F.pmod(F.xxhash64("query_id", F.lit(2)), F.lit(salts)).cast("int"))
+    scored = queries.groupBy("bundle", "salt").cogroup(held.groupBy("bundle", "salt")).applyInArrow(compare, "query_id long, vec_id long, score double")
+    return _top(scored, k).select("query_id", F.col("rank").cast("int"), "vec_id", "score").union(rest)
+
+
+def _in_blocks(rows: DataFrame, k: int, block: int) -> DataFrame:
+    """The k nearest of each query among rows of its own length, by blocks of rows that every query of that length visits. For the lengths beside
+    the commonest one."""
+    sized = rows.withColumn("d", F.size("embedding"))
+    parts = sized.groupBy("d").agg(F.ceil(F.count("*") / block).cast("long").alias("parts"))
+    held = sized.join(parts, "d").withColumn("part", F.pmod(F.xxhash64("vec_id", F.lit(1)), F.col("parts"))).select("vec_id", "embedding", "d", "part")
+    queries = sized.where("asked").join(parts, "d").select(F.col("vec_id").alias("query_id"), F.col("embedding").alias("q"), F.col("d").alias("of_length"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1)).alias("block"))
+
+    def compare(asked: pa.Table, held: pa.Table) -> pa.Table:
+        if not asked.num_rows or not held.num_rows:
+            return pa.table({"query_id": pa.array([], pa.int64()), "vec_id": pa.array([], pa.int64()), "score": pa.array([], pa.float64())})
+        ids = asked.column("query_id").to_numpy()
+        i, near, score = nearest_in_block(matrix(asked.column("q")), ids, matrix(held.column("embedding")), held.column("vec_id").to_numpy(), k)
+        return pa.table({"query_id": ids[i], "vec_id": near, "score": score})
+
+    return _top(queries.groupBy("of_length", "block").cogroup(held.groupBy("d", "part")).applyInArrow(compare, "query_id long, vec_id long, score double"), k)
 
 
 def exact_neighbours(rows: DataFrame, queries: np.ndarray, ids: np.ndarray, k: int) -> DataFrame:
@@ -216,9 +237,9 @@ def exact_neighbours(rows: DataFrame, queries: np.ndarray, ids: np.ndarray, k: i
     return _top(rows.select("vec_id", "embedding", "leaf").mapInArrow(scan, "query_id long, vec_id long, score double, leaf int"), k)
 
 
-def _calibrated(placed: DataFrame, tree: Tree, counts: np.ndarray, k: int, target: float, calibration: int, by_hash: Column) -> int:
+def _calibrated(placed: DataFrame, tree: Tree, counts: np.ndarray, k: int, target: float, calibration: int, asked: int) -> int:
     """Leaves to visit: widened until the calibration queries' mean recall reaches the target."""
-    some = placed.where("asked").orderBy(by_hash, "vec_id").select("vec_id", "embedding").limit(calibration).collect()
+    some = by_share(placed.where("asked"), F.col("vec_id"), calibration, asked).select("vec_id", "embedding").collect() or placed.where("asked").select("vec_id", "embedding").limit(1).collect()
     queries, ids = np.array([r[1] for r in some], np.float64), np.array([r[0] for r in some], np.int64)
     wanted: dict[int, list[int]] = {}
     for query_id, leaf in exact_neighbours(placed, queries, ids, k).select("query_id", "leaf").collect():  # calibration * k rows

@@ -15,11 +15,16 @@ def usable(vector: Column) -> Column:
 
 
 def dimension(vectors: DataFrame, column: str) -> int:
-    """The commonest length among the vectors (the smaller at a tie), 0 if there are none. Vectors of another length take no part."""
+    """The commonest length among the vectors (the smaller at a tie), 0 if there are none."""
     sizes = vectors.groupBy(F.size(column).alias("d")).count().orderBy(F.desc("count"), "d").first()
     return sizes[0] if sizes else 0
 
 
+def by_share(rows: DataFrame, key: Column, want: int, total: int) -> DataFrame:
+    """About `want` of `total` rows, by a hash of their key: chosen where they are read, so no task sends more than its share."""
+    return rows if want >= total else rows.where(F.pmod(F.xxhash64(key, F.lit(11)), F.lit(1 << 30)) < F.lit(int((1 << 30) * want / total)))
+
+
 def matrix(column: pa.Array | pa.ChunkedArray) -> np.ndarray:
     """Rows of a list column of equal lengths, in double precision."""
     if isinstance(column, pa.ChunkedArray):
