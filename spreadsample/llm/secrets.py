@@ -35,13 +35,14 @@ def chunked(items: Column) -> Column:
 def matches(text: Column, pattern: str, rank: int, group: int | None = None, least: int = 0, kind: str = SPAN) -> Column:
     """Spans of the leftmost non-overlapping matches whose group (or whole) has at least `least` code points; of kind TOKENS with what they hold.
 
-    One pass extracts each match with the gap before it; where the match begins there, and how long its value is, comes from that short
+    One pass extracts each match with the gap before it; the match itself, and its value, are found again in that short
     string. Places are sums of lengths: of the chunks before, then of the elements before in the chunk, so the work does not grow with
     the square of the matches."""
     lazy = F.lit(rf"(?s)\G(.*?)(?:{pattern})")  # \G: after the last match, one pass to the end and no new starts
-    found = F.transform(F.regexp_extract_all(text, lazy, F.lit(0)), lambda z: F.struct(z.alias("z"), (F.regexp_instr(z, F.lit(pattern)) - 1).alias("gap")))
-    value = lambda x: F.length(F.call_function("regexp_extract", x["z"].substr(x["gap"] + 1, F.length(x["z"])), F.lit(pattern), F.lit(group))) if group else F.length(x["z"]) - x["gap"]
-    sized = F.transform(found, lambda x: F.struct(x["gap"].alias("gap"), (F.length(x["z"]) - x["gap"]).alias("hit"), value(x).alias("value"), x["z"].alias("z")))
+    extract = lambda z, g: F.call_function("regexp_extract", z, F.lit(pattern), F.lit(g))
+    found = F.transform(F.regexp_extract_all(text, lazy, F.lit(0)), lambda z: F.struct(F.length(z).alias("all"), extract(z, 0).alias("z")))
+    value = lambda x: F.length(extract(x["z"], group)) if group else F.length(x["z"])
+    sized = F.transform(found, lambda x: F.struct((x["all"] - F.length(x["z"])).alias("gap"), F.length(x["z"]).alias("hit"), value(x).alias("value"), x["z"].alias("z")))
     length = lambda items: F.aggregate(items, F.lit(0), lambda s, x: s + x["gap"] + x["hit"])
 
     def placed(chunks: Column) -> Column:
@@ -51,7 +52,7 @@ def matches(text: Column, pattern: str, rank: int, group: int | None = None, lea
 
     def spans(chunk: Column) -> Column:
         start = lambda x, i: chunk["at"] + length(F.slice(chunk["items"], F.lit(1), i)) + x["gap"]
-        both = F.transform(chunk["items"], lambda x, i: F.struct(start(x, i).alias("start"), x["hit"].alias("hit"), x["value"].alias("value"), *([x["z"].substr(x["gap"] + 1, x["hit"]).alias("token")] if kind == TOKENS else [])))
+        both = F.transform(chunk["items"], lambda x, i: F.struct(start(x, i).alias("start"), x["hit"].alias("hit"), x["value"].alias("value"), *([x["z"].alias("token")] if kind == TOKENS else [])))
         return F.transform(F.filter(both, lambda x: x["value"] >= least), lambda x: F.struct(x["start"].alias("start"), F.lit(rank).alias("rank"), (x["start"] + x["hit"]).alias("end"), *([x["token"].alias("token")] if kind == TOKENS else [])))
 
     held = F.transform(F.array(sized), chunked)  # an array of one, so that what it holds is evaluated once
