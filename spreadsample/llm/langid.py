@@ -25,6 +25,9 @@ OTHER = LUT >> 8
 DOCS_PER_LANG, WORDS_PER_LANG, ROUNDS, SMOOTH = 2000, 20_000, 4, 0.1
 CACHED_WORDS, LANGUAGES = 150_000, 4096
 UNKNOWN = "und"
+#: A text of at least so many words has no language if no language is likelier than the others together, or if each letter costs more bits
+#: than one drawn at random from 64 signs. Shorter texts say too little to be turned away.
+JUDGED_WORDS, LEAST_SCORE, RANDOM_BITS = 20, 0.5, 6.0
 
 
 def vocabulary(path: str) -> list[str]:
@@ -164,14 +167,14 @@ def learned(docs: DataFrame, path: str, per_lang: int = DOCS_PER_LANG, words_per
 
 
 def predictor(segmenter: Segmenter, langs: list[str], probability: np.ndarray):
-    """A function from lists of texts to (languages, scores); words that it has met are kept, up to a bound."""
+    """A function from lists of texts to (languages, scores, whether the text has a language); words that it has met are kept, up to a bound."""
     letters, scripts = re.compile(r"[^\W\d_]{1,%d}" % LONGEST), re.compile("[\u0300-\u1dff\u20d0-\u20ff\u2c00-\U0010ffff]")
     with_marks = regex.compile(r"[\p{L}\p{M}]{1,%d}" % LONGEST)  # slower, for texts that may have combining marks
     in_text = lambda t: (with_marks if scripts.search(t) else letters).findall(t)
     known: dict[str, int] = {}
     table = np.zeros((0, len(langs)))
 
-    def predict(texts: list[str]) -> tuple[list[str], list[float]]:
+    def predict(texts: list[str]) -> tuple[list[str], list[float], list[bool]]:
         nonlocal known, table
         words = [in_text(t.lower()) for t in texts]
         counts = np.array([len(w) for w in words], np.int64)
@@ -192,11 +195,14 @@ def predictor(segmenter: Segmenter, langs: list[str], probability: np.ndarray):
             at = np.fromiter(map(known.__getitem__, flat), np.int64, len(flat))
             total[some] = np.add.reduceat(table[at], (np.cumsum(counts) - counts)[some])
         if not langs:
-            return [UNKNOWN] * len(texts), [0.0] * len(texts)
+            return [UNKNOWN] * len(texts), [0.0] * len(texts), [False] * len(texts)
         best = total.argmax(axis=1)
         score = 1 / np.exp(total - total[np.arange(len(texts)), best][:, None]).sum(axis=1)
         none = ~total.any(axis=1)
-        return [UNKNOWN if n else langs[b] for n, b in zip(none, best)], np.where(none, 0.0, score).tolist()
+        signs = np.array([sum(map(len, ws)) + len(ws) for ws in words])  # letters, and the beginnings of words
+        random = total.max(axis=1) < -signs * np.log(2) * RANDOM_BITS
+        spoken = ~none & ((counts < JUDGED_WORDS) | (score >= LEAST_SCORE) & ~random)
+        return [UNKNOWN if n else langs[b] for n, b in zip(none, best)], np.where(none, 0.0, score).tolist(), spoken.tolist()
 
     return predict
 
@@ -224,13 +230,16 @@ def identify(docs: DataFrame, path: str, **options) -> DataFrame:
 
 
 def with_language(docs: DataFrame, path: str, **options) -> DataFrame:
-    """The rows of docs (doc_id, text, lang and any others, kept) whose text has a language; `und` goes."""
+    """The rows of docs (doc_id, text, lang and any others, kept) whose text has a language. Texts that are null or have no letter go, and
+    of those with JUDGED_WORDS words or more the ones that fit no language: no language is likelier than the others together, or their
+    letters would be likelier if drawn at random. If nothing could be learned, all go; repeated rows are judged alike, an empty table
+    gives no rows."""
     model = learned(docs, path, **options)
     at = docs.columns.index("text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         predict = predictor(*model)
         for b in batches:
-            yield b.filter(pa.array([x != UNKNOWN for texts in chunks(b.column(at)) for x in predict(texts)[0]], pa.bool_()))
+            yield b.filter(pa.array([x for texts in chunks(b.column(at)) for x in predict(texts)[2]], pa.bool_()))
 
     return docs.mapInArrow(run, docs.schema)

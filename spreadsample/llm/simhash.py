@@ -50,7 +50,7 @@ def _fingerprint_batches(width: int, seed: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             found, hashes, counts = [], [], []
-            for text in batch.column(1).cast(pa.binary()).to_pylist():
+            for text in batch.column(batch.num_columns - 1).cast(pa.binary()).to_pylist():
                 h = shingle_hashes(text or b"", width, seed)
                 hashes += h
                 counts.append(len(h))
@@ -58,7 +58,7 @@ def _fingerprint_batches(width: int, seed: int):
                     found.append(majority(np.array(hashes, np.uint64), np.array(counts)))
                     hashes, counts = [], []
             found.append(majority(np.array(hashes, np.uint64), np.array(counts, np.int64)))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(np.concatenate(found).view(np.int64))], ["doc_id", "fp"])
+            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(np.concatenate(found).view(np.int64))], [*batch.schema.names[:-1], "fp"])
 
     return run
 
@@ -193,6 +193,12 @@ def fingerprint_links(distinct: DataFrame, radius: int = RADIUS, blocks: int = B
     return edges.union(ball.join(first, "near").where("fp != b").select(F.col("fp").alias("a"), "b"))
 
 
+def fingerprint_roots(distinct: DataFrame, radius: int = RADIUS, bucket: int = BUCKET) -> DataFrame:
+    """distinct (fp and other columns) with root, the fingerprint that names its component."""
+    roots = components(fingerprint_links(distinct, radius, bucket=bucket))
+    return distinct.join(roots.withColumnRenamed("node", "fp"), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
+
+
 def near_duplicates(docs: DataFrame, width: int = SHINGLE, radius: int = RADIUS, bucket: int = BUCKET) -> DataFrame:
     """(doc_id, fingerprint, component_id) for every row of docs (columns doc_id, text; others are not read).
 
@@ -200,19 +206,21 @@ def near_duplicates(docs: DataFrame, width: int = SHINGLE, radius: int = RADIUS,
     Repeated rows and equal ids are kept as they come; an empty table gives no rows."""
     fps = durable(fingerprints(docs, width))
     distinct = durable(fps.groupBy("fp").agg(F.min("doc_id").alias("first_id")))
-    roots = components(fingerprint_links(distinct, radius, bucket=bucket))
-    rooted = distinct.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("fp", F.coalesce("root", "fp").alias("root"), "first_id")
+    rooted = fingerprint_roots(distinct, radius, bucket)
     least = rooted.groupBy("root").agg(F.min("first_id").alias("component_id"))
     found = durable(rooted.join(least, "root").select("fp", "component_id"))
     return fps.join(found, "fp").select("doc_id", hex16(F.col("fp")).alias("fingerprint"), "component_id")
 
 
-def deduplicate(docs: DataFrame, **options) -> DataFrame:
-    """One row of docs (doc_id, text and any others, kept) for each component of near duplicates: that of the smallest id. Rows
-    without an id stand behind all others by a hash of their text; of rows that repeat an id one stays."""
-    key = F.coalesce(F.col("doc_id").cast("long"), F.lit(1 << 62) + F.xxhash64("text").bitwiseAND(F.lit((1 << 62) - 1)))
+def deduplicate(docs: DataFrame, width: int = SHINGLE, radius: int = RADIUS, bucket: int = BUCKET) -> DataFrame:
+    """One row of docs (doc_id, text and any others, kept) for each component of near duplicates: that of the smallest id, null ids
+    last, rows of one id in the order of a hash of their text. Rows are told apart by id and text, so unlike texts of one id both stay; of
+    rows that repeat both, one stays. An empty table gives no rows."""
     names = [f"in_{i}" for i in range(len(docs.columns))]
-    keyed = docs.toDF(*names).withColumn("key", F.coalesce(F.col(names[docs.columns.index("doc_id")]).cast("long"), F.lit(1 << 62) + F.xxhash64(names[docs.columns.index("text")]).bitwiseAND(F.lit((1 << 62) - 1))))
-    stay = near_duplicates(docs.select(key.alias("doc_id"), "text"), **options).where("doc_id = component_id").select(F.col("doc_id").alias("key")).distinct()
-    first = F.row_number().over(Window.partitionBy("key").orderBy(F.xxhash64(names[docs.columns.index("text")])))
-    return keyed.join(stay, "key", "left_semi").withColumn("nth", first).where("nth = 1").select(*names).toDF(*docs.columns)
+    doc_id, text = (F.col(names[docs.columns.index(c)]) for c in ("doc_id", "text"))
+    placed = docs.toDF(*names).withColumns({"did": F.coalesce(doc_id.cast("long"), F.lit(2**63 - 1)), "th": F.xxhash64(text.cast("string"))})
+    fps = placed.select("did", "th", text.cast("string").alias("text")).mapInArrow(_fingerprint_batches(width, SEED), "did long, th long, fp long")
+    distinct = durable(fps.groupBy("fp").agg(F.min(F.struct("did", "th")).alias("first")))
+    kept = durable(fingerprint_roots(distinct, radius, bucket).groupBy("root").agg(F.min("first").alias("x")).select("x.did", "x.th"))
+    nth = F.row_number().over(Window.partitionBy("did", "th").orderBy("did"))
+    return placed.join(kept, ["did", "th"], "left_semi").withColumn("nth", nth).where("nth = 1").select(*names).toDF(*docs.columns)
