@@ -23,7 +23,7 @@ MARK, LONGEST, LUT = "▁", 24, 0x110000
 #: Letters in no piece share one for each 256 code points, so that scripts stay apart.
 OTHER = LUT >> 8
 DOCS_PER_LANG, WORDS_PER_LANG, ROUNDS, SMOOTH = 2000, 20_000, 4, 0.1
-CACHED_WORDS, LANGUAGES = 150_000, 4096
+CACHED_WORDS, NEW_WORDS, LANGUAGES = 150_000, 8_000, 4096
 UNKNOWN = "und"
 #: A text of at least so many words has no language if no language is likelier than the others together, or if each letter costs more bits
 #: than one drawn at random from 64 signs. Shorter texts say too little to be turned away.
@@ -182,8 +182,8 @@ def predictor(segmenter: Segmenter, langs: list[str], probability: np.ndarray):
         if len(known) > CACHED_WORDS:
             known, table = {}, table[:0]
         new = [w for w in dict.fromkeys(flat) if w not in known]
-        for s in range(0, len(new), 20_000) if langs else ():
-            part = new[s : s + 20_000]
+        for s in range(0, len(new), NEW_WORDS) if langs else ():
+            part = new[s : s + NEW_WORDS]
             known.update(zip(part, range(len(known), len(known) + len(part))))
             spelt = ["".join(c for c in w if not c.isnumeric() or c.isalpha()) if any(map(str.isalpha, w)) else "" for w in part]  # \w has some numerals too
             found = segmenter.forward([w or "a" for w in spelt], probability)
