@@ -214,6 +214,18 @@ def test_swaps_are_counted_like_by_hand(spark):
     assert certify.improving_swaps(p, s, 0.05).first()[0] == want and certify.improving_swaps(p, s.limit(0), 0.05).first()[0] == 0
 
 
+def test_swaps_of_a_lonely_member_are_counted_exactly(spark):
+    """Its burden, about 1.3e-12, is made of a pair above 1e-13 and of others below it."""
+    at = lambda v: float(0.05 * np.sqrt(-2 * np.log(v)))
+    members = [("m0", 0.0, 0.0), ("m1", at(9.9e-13), 0.0), ("m2", -at(9e-14), 0.0), ("m3", 0.0, at(9e-14)), ("m4", 0.0, -at(9e-14)), ("m5", 5.0, 5.0)]
+    rows = members + [(f"r{i}", 9.0 + i, 9.0) for i in range(20)]
+    near = lambda a, b: np.exp(-((a[1] - b[1]) ** 2 + (a[2] - b[2]) ** 2) / (2 * 0.05**2))
+    want = sum(sum(near(t, m) for m in members if m is not s) < sum(near(s, m) for m in members if m is not s) - 1e-12 for t in rows[6:] for s in members)
+    assert want == 20
+    p = spark.createDataFrame(rows, "id string, x double, y double")
+    assert certify.improving_swaps(p, p.where("id LIKE 'm%'"), 0.05).first()[0] == want
+
+
 def test_hydrate_brings_whole_rows(spark):
     p = frame(spark, list(zip(*cloud(50, 2))))
     got = ex.hydrate(p, ex.exchange(p, 7, EPS), 7).collect()
