@@ -1,8 +1,10 @@
 """The working set against brute force, and samples on awkward inputs."""
 
+import time
 from itertools import combinations
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from spreadsample.functions import bandwidth, kernels
@@ -194,6 +196,20 @@ def test_a_stopped_scan_holds_k_rows_seen_so_far():
     assert work.n == 50 and work.rows == 50 and work.offer(ids[50:], x[50:], y[50:])
 
 
+def test_the_clock_of_a_scan_starts_with_its_first_row():
+    """Rows that come late, after a sort, are scanned all the same: the sample is not the k rows that began."""
+    ids, x, y = cloud(4200, 5)
+
+    def late():
+        time.sleep(0.5)
+        for low in range(0, len(ids), 1000):
+            part = slice(low, low + 1000)
+            yield pa.RecordBatch.from_arrays([pa.array(["all"] * len(ids[part])), pa.array(ids[part]), pa.array(x[part]), pa.array(y[part])], ["grp", "id", "x", "y"])
+
+    got = next(ex._streamed(20, EPS, {"max_seconds": 0.3})(late()))
+    assert set(got.column("id").to_pylist()) != set(ids[:20])
+
+
 def test_greedy_start_takes_what_adds_least(spark):
     rows = list(zip(*cloud(60, 9)))
     got = [r["id"] for r in ex.greedy_start(frame(spark, rows), 8, EPS).collect()]
