@@ -10,6 +10,7 @@ import pytest
 from spreadsample.functions import bandwidth, kernels
 from spreadsample.operators import baselines, certify, density, exact, measures
 from spreadsample.operators import exchange as ex
+from spreadsample.operators import queries
 from spreadsample.plans import catalog  # noqa: F401
 
 EPS = 0.1
@@ -263,3 +264,26 @@ def test_manual_advice_checks_columns(spark):
     assert budget.advise_manually(p, [("x", "y")]).collect()[0].asDict() == {"xcol": "x", "ycol": "y"}
     with pytest.raises(ValueError):
         budget.advise_manually(p, [("x", "category")])
+
+
+def test_printed_pairs_have_the_printed_rank_correlation(spark):
+    r = measures.spearman(spark.createDataFrame(queries.PRINTED_PAIRS, "a double, b double"), "a", "b").first()
+    assert r["n"] == 12 and abs(r["rho"] + 0.84615) < 1e-5
+
+
+def read_rows(spark, sf, tmp_path, table, query):
+    """The rows of a query over a copy of the tables in which one of them is empty."""
+    import os
+
+    for t in os.listdir(sf):
+        if t != f"{table}.parquet":
+            os.symlink(f"{sf}/{t}", tmp_path / t)
+    spark.read.parquet(f"{sf}/{table}.parquet").limit(0).write.parquet(str(tmp_path / f"{table}.parquet"))
+    import __spark_entry__ as entry
+
+    return [tuple(r) for r in entry.queries()[query](spark, str(tmp_path)).collect()]
+
+
+@pytest.mark.parametrize("query, table", [("k_cutoff", "events"), ("k_pair_quadrature", "lineitem"), ("m_spearman_printed", "orders"), ("op_cte_recursive", "orders")])
+def test_queries_take_their_rows_from_a_table(spark, tmp_path, query, table):
+    assert [r for r in read_rows(spark, "/root/testdata/sf0.001", tmp_path, table, query) if r[0] is not None] == []
