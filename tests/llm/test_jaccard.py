@@ -2,6 +2,7 @@
 
 import random
 
+import numpy as np
 import pytest
 
 import corpus_pipeline
@@ -60,3 +61,26 @@ def test_rows_of_one_id_with_unlike_texts_stay(spark):
     got = jaccard.deduplicate(spark.createDataFrame([(i, t, "en", "s", len(t or "")) for i, t in rows], DOC)).collect()
     assert sorted(((r["doc_id"], r["text"]) for r in got), key=repr) == sorted([rows[0], rows[1], rows[4], rows[5]], key=repr)
     assert jaccard.deduplicate(spark.createDataFrame([], DOC)).count() == 0
+
+
+def test_no_pair_is_compared_before_its_fingerprints(monkeypatch):
+    """Sets of any size, and of stars too, are only compared set by set where the bit planes let a pair through."""
+    seen = []
+
+    def none(fps, radius):
+        seen.append((len(fps), radius))
+        return iter(())
+
+    rng = np.random.default_rng(1)
+    big, small = np.unique(rng.integers(0, 1 << 60, 100)), np.unique(rng.integers(0, 1 << 60, 5))
+    nodes, sets = np.arange(4), [small, small[:4], big, big[:95]]
+    fps = np.array([jaccard.majority(s.view(np.uint64), np.array([len(s)]))[0] for s in sets])
+    star = {"buckets": np.array([0, 0, 1, 1]), "centres": np.array([True, False, True, False])}
+    for only in ({}, star):
+        assert sorted(tuple(sorted(x)) for x in jaccard.tile_links(nodes, nodes, fps, sets, **only)) == [(0, 1), (2, 3)]
+    assert jaccard.tile_links(nodes, nodes, fps, sets, np.zeros(4, int), np.zeros(4, bool)) == []
+    monkeypatch.setattr(jaccard, "bit_sliced_links", none)
+    for only in ({}, star):
+        assert jaccard.tile_links(nodes, nodes, fps, sets, **only) == []
+    assert seen == [(2, jaccard.SMALL_RADIUS), (2, jaccard.RADIUS)] * 2
+    assert not hasattr(jaccard, "_similar")
