@@ -24,6 +24,8 @@ MARK, LONGEST, LUT = "▁", 24, 0x110000
 OTHER = LUT >> 8
 DOCS_PER_LANG, WORDS_PER_LANG, ROUNDS, SMOOTH = 2000, 20_000, 4, 0.1
 CACHED_WORDS, NEW_WORDS, LANGUAGES = 150_000, 8_000, 4096
+#: Code points of the texts that are split into words at once.
+TEXT_CHARS = 1 << 18
 UNKNOWN = "und"
 #: A text of at least so many words has no language if no language is likelier than the others together, or if each letter costs more bits
 #: than one drawn at random from 64 signs. Shorter texts say too little to be turned away.
@@ -52,7 +54,7 @@ class Segmenter:
         singles = sorted({c for p in pieces for c in p} - set(common))
         pieces = sorted({p for p in pieces if all(self.code[ord(c)] for c in p)} | set(common))
         self.n_pieces = len(pieces) + len(singles) + OTHER
-        self.single = len(pieces) + len(singles) + (np.arange(LUT) >> 8).astype(np.int32)  # the piece of a letter outside the trie
+        self.single = self._blocks()  # the piece of a letter outside the trie
         for i, c in enumerate(singles):
             self.single[ord(c)] = len(pieces) + i
         rows, ends = [dict()], [-1]
@@ -65,14 +67,35 @@ class Segmenter:
                     ends.append(-1)
             ends[node] = k
         dead = len(rows)
-        self.child = np.full((dead + 1, len(common) + 1), dead, np.int32)
-        for v, row in enumerate(rows):
-            for c, to in row.items():
-                self.child[v, c] = to
+        self.arms = np.array([(v, c, to) for v, row in enumerate(rows) for c, to in row.items()], np.int32)
+        self.letters = len(common) + 1
         self.piece = np.array([*ends, -1], np.int32)
         self.piece[self.piece < 0] = self.n_pieces  # a piece of probability zero
         self.depth = max(map(len, pieces))
         self.dead = dead
+        self._grow()
+
+    def _grow(self) -> None:
+        """The table of nodes and letters, from its arms: nearly all of it is dead ends."""
+        self.child = np.full((self.dead + 1, self.letters), self.dead, np.uint16 if self.dead < 1 << 16 else np.int32)
+        self.child[self.arms[:, 0], self.arms[:, 1]] = self.arms[:, 2]
+
+    def __getstate__(self) -> dict:
+        """What travels to tasks: the arms in place of the table, and the letters that differ from the rule in place of all code points."""
+        state = {k: v for k, v in self.__dict__.items() if k not in ("child", "code", "single")}
+        coded, alone = np.flatnonzero(self.code), np.flatnonzero(self.single != self._blocks())
+        return state | {"coded": (coded, self.code[coded]), "alone": (alone, self.single[alone])}
+
+    def __setstate__(self, state: dict) -> None:
+        (coded, codes), (alone, singles) = state.pop("coded"), state.pop("alone")
+        self.__dict__.update(state)
+        self.code, self.single = np.zeros(LUT, np.uint16), self._blocks()
+        self.code[coded], self.single[alone] = codes, singles
+        self._grow()
+
+    def _blocks(self) -> np.ndarray:
+        """The piece of each code point that is in none: one for 256 of them."""
+        return self.n_pieces - OTHER + (np.arange(LUT, dtype=np.int32) >> 8)
 
     def codes(self, words: list[str]) -> tuple[np.ndarray, np.ndarray, tuple[np.ndarray, np.ndarray]]:
         """Order of falling length, lengths in that order, and as columns the letters' codes and the pieces of those without a code."""
@@ -220,7 +243,7 @@ def identify(docs: DataFrame, path: str, **options) -> DataFrame:
         predict = predictor(*model)
         for b in batches:
             pred, score = [], []
-            for texts in chunks(b.column(2)):
+            for texts in chunks(b.column(2), TEXT_CHARS):
                 found = predict(texts)
                 pred += found[0]
                 score += found[1]
@@ -240,6 +263,9 @@ def with_language(docs: DataFrame, path: str, **options) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         predict = predictor(*model)
         for b in batches:
-            yield b.filter(pa.array([x for texts in chunks(b.column(at)) for x in predict(texts)[2]], pa.bool_()))
+            done = 0
+            for texts in chunks(b.column(at), TEXT_CHARS):  # a part at a time goes out, so that no second copy of the batch is made
+                yield b.slice(done, len(texts)).filter(pa.array(predict(texts)[2], pa.bool_()))
+                done += len(texts)
 
     return docs.mapInArrow(run, docs.schema)
