@@ -1,5 +1,6 @@
 """The working set against brute force, and samples on awkward inputs."""
 
+import random
 import time
 from itertools import combinations
 
@@ -287,3 +288,22 @@ def read_rows(spark, sf, tmp_path, table, query):
 @pytest.mark.parametrize("query, table", [("k_cutoff", "events"), ("k_pair_quadrature", "lineitem"), ("m_spearman_printed", "orders"), ("op_cte_recursive", "orders")])
 def test_queries_take_their_rows_from_a_table(spark, tmp_path, query, table):
     assert [r for r in read_rows(spark, "/root/testdata/sf0.001", tmp_path, table, query) if r[0] is not None] == []
+
+
+@pytest.mark.parametrize("k", [1, 3, 5])
+def test_pairs_like_a_scan_by_id(spark, monkeypatch, k):
+    """Decisions of a row-by-row scan, from windows of the table; no task gets the whole table."""
+    rng = random.Random(k)
+    value = {(str(a), str(b)): rng.choice([0.0, rng.random(), -rng.random()]) for a in range(40) for b in range(a + 1, 40) if rng.random() < 0.8}
+    of = lambda a, b: value.get((a, b), value.get((b, a), 0.0))
+    members = []
+    for t in sorted({i for pair in value for i in pair}):
+        members.append(t)
+        if len(members) > k:
+            burden = [sum(of(a, b) for b in members if b != a) for a in members]
+            tied = [a for a, v in zip(members, burden) if v >= max(burden) - 1e-12]
+            members.remove(t if t in tied else max(tied))
+    table = spark.createDataFrame([(a, b, v) for (a, b), v in value.items()], "i string, j string, k double")
+    monkeypatch.setattr(type(table), "repartition", None)
+    assert sorted(r["id"] for r in ex.exchange_pairs(table, k, window=7).collect()) == sorted(members)
+    assert ex.exchange_pairs(table.limit(0), k).count() == 0
