@@ -2,9 +2,12 @@
 
 import pytest
 
+from spreadsample.functions import points
 from spreadsample.functions.runtime import together
 from spreadsample.operators import baselines as bl
-from spreadsample.operators import tasks, workloads
+from spreadsample.operators import exchange as ex
+from spreadsample.operators import measures, tasks, workloads
+from spreadsample.plans import catalog
 
 SF = "/root/testdata/sf0.001"
 
@@ -29,3 +32,26 @@ def test_together(spark):
     assert together(*[lambda n=n: spark.range(n).count() for n in range(6)]) == list(range(6))
     with pytest.raises(ZeroDivisionError):
         together(lambda: 1, lambda: 1 / 0)
+
+
+def test_spread_of_many_rows_goes_through_tiles(spark, monkeypatch):
+    """Above the rows of a block, samples of the experiments are built in parallel, and are near the one-block build."""
+    p = workloads.point_set(spark, SF, "hubs")
+    one = measures.objective_by_cells(workloads.spread(p, 200), workloads.EPS).first()[0]
+    uniform = measures.objective_by_cells(bl.uniform(p, 200), workloads.EPS).first()[0]
+    seen = []
+    tiled = ex.exchange_tiles
+    monkeypatch.setattr(catalog, "BLOCK_ROWS", 1000)
+    monkeypatch.setattr(ex, "exchange_tiles", lambda *a, **o: seen.append(o) or tiled(*a, **o))
+    s = workloads.spread(p, 200)
+    assert s.count() == 200 and s.join(p, "id", "left_anti").isEmpty() and seen and seen[0]["tile_variant"] == "add_drop"
+    assert measures.objective_by_cells(s, workloads.EPS).first()[0] < one + 0.1 * (uniform - one)
+
+
+def test_derived_sets_are_compiled(spark):
+    """The filter on places stays above the struct, and rows are those of the SQL."""
+    for name in ("hubs", "mix2b"):
+        made = points.load(spark, SF, name)
+        assert "Join Inner, ((abs(" not in (plan := made._jdf.queryExecution().optimizedPlan().toString()) and "inline(" in plan
+        assert sorted(made.collect()) == sorted(spark.sql(points.unit_sql(name)).collect())
+        assert sorted(points.load(spark, SF, name, False).collect()) == sorted(spark.sql(points.raw_sql(name)).collect())
