@@ -55,3 +55,14 @@ def test_derived_sets_are_compiled(spark):
         assert "Join Inner, ((abs(" not in (plan := made._jdf.queryExecution().optimizedPlan().toString()) and "inline(" in plan
         assert sorted(made.collect()) == sorted(spark.sql(points.unit_sql(name)).collect())
         assert sorted(points.load(spark, SF, name, False).collect()) == sorted(spark.sql(points.raw_sql(name)).collect())
+
+
+def test_zoom_coverage_builds_side_by_side(spark, monkeypatch):
+    seen = []
+    run = workloads.together
+    monkeypatch.setattr(workloads, "together", lambda *a: seen.append(len(a)) or run(*a))
+    rows = workloads.w1_zoom_coverage(spark, SF).collect()
+    assert seen == [6, 24] and len({(r["dataset"], r["method"], r["measure"]) for r in rows}) == 24
+    p = points.load(spark, SF, "latency")
+    r = tasks.overview(p, workloads.spread(p, max(100, p.count() // 100)), (0.2, 0.5, 0.2, 0.5)).first()
+    assert [x["v"] for x in rows if (x["dataset"], x["method"], x["measure"]) == ("latency", "spread", "zoom1")] == [r["kept"] / max(1, r["total"])]
