@@ -1,12 +1,13 @@
 """Samples that experiments share, and what they ask of all rows once."""
 
+import numpy as np
 import pytest
 
 from spreadsample.functions import points
 from spreadsample.functions.runtime import together
 from spreadsample.operators import baselines as bl
 from spreadsample.operators import exchange as ex
-from spreadsample.operators import measures, tasks, workloads
+from spreadsample.operators import density, measures, tasks, workloads
 from spreadsample.plans import catalog
 
 SF = "/root/testdata/sf0.001"
@@ -66,3 +67,43 @@ def test_zoom_coverage_builds_side_by_side(spark, monkeypatch):
     p = points.load(spark, SF, "latency")
     r = tasks.overview(p, workloads.spread(p, max(100, p.count() // 100)), (0.2, 0.5, 0.2, 0.5)).first()
     assert [x["v"] for x in rows if (x["dataset"], x["method"], x["measure"]) == ("latency", "spread", "zoom1")] == [r["kept"] / max(1, r["total"])]
+
+
+def test_spreads_of_many_rows_share_one_dealing(spark, monkeypatch):
+    """Sizes that go through tiles are built from one dealing of all rows; each has k rows of the set, near the one-block build."""
+    p = workloads.point_set(spark, SF, "mix1a")
+    monkeypatch.setattr(catalog, "BLOCK_ROWS", 1000)
+    seen = []
+    pools = ex.tile_pools
+    monkeypatch.setattr(ex, "tile_pools", lambda q, of, *a, **o: seen.append(of) or pools(q, of, *a, **o))
+    drawn = {k: s for k, m, s in workloads.samples(spark, SF, "mix1a", (60, 200, 1100)) if m == "spread"}
+    assert seen == [{k: catalog.tiles_for(k, p.count()) for k in (60, 200, 1100)}]
+    for k, s in drawn.items():
+        assert s.columns == p.columns and s.count() == k and s.join(p, p.columns, "left_anti").isEmpty()
+        j = lambda d: measures.objective_by_cells(d, workloads.EPS).first()[0]
+        one, uniform = j(ex.exchange(p, k, workloads.EPS)), j(bl.uniform(p, k))
+        assert j(s) < one + 0.1 * (uniform - one)
+
+
+def test_wide_builds_go_through_tiles():
+    """600,000 rows at K = 10,000 are no block of one task."""
+    assert not catalog.in_block(10_000, 600_000) and catalog.in_block(10_000, 60_000) and catalog.in_block(1000, 600_000)
+
+
+def test_quadtree_is_exact():
+    g = np.random.default_rng(3)
+    for _ in range(100):
+        k = int(g.integers(1, 80))
+        mx, my = g.integers(0, 6, k) / 5, g.integers(0, 6, k) / 5  # ties, and members at one place
+        x, y = g.integers(-10, 30, 200) / 10, g.integers(-10, 30, 200) / 10
+        d2 = (x[:, None] - mx) ** 2 + (y[:, None] - my) ** 2
+        assert (density.QuadIndex(mx, my).nearest(x, y) == d2.argmin(axis=1)).all()
+    one = density.QuadIndex(np.zeros(5000), np.zeros(5000))
+    assert len(one.who) == 1 and one.nearest(np.ones(3), np.ones(3)).tolist() == [0, 0, 0]
+
+
+def test_weights_of_several_samples(spark):
+    p = workloads.point_set(spark, SF, "hubs")
+    drawn = [bl.uniform(p, k) for k in (5, 300)]
+    for s, w in zip(drawn, density.by_indexes(drawn, p)):
+        assert sorted(w.collect()) == sorted(density.by_scan(s, p).collect())
