@@ -307,3 +307,36 @@ def test_pairs_like_a_scan_by_id(spark, monkeypatch, k):
     monkeypatch.setattr(type(table), "repartition", None)
     assert sorted(r["id"] for r in ex.exchange_pairs(table, k, window=7).collect()) == sorted(members)
     assert ex.exchange_pairs(table.limit(0), k).count() == 0
+
+
+@pytest.mark.parametrize("seed", range(3))
+def test_passed_over_batches_decide_like_exact_ones(seed, monkeypatch):
+    """Single precision only tells rows that stay out: members, swaps and evaluations are those of double precision for every batch."""
+    ids, x, y = cloud(12_000, seed)
+    sets, passed = [], []
+    monkeypatch.setattr(ex, "MATRIX", 512)
+    look = ex.WorkingSet._first_better
+    monkeypatch.setattr(ex.WorkingSet, "_first_better", lambda self, x, y: passed.append(r := look(self, x, y)) or r)
+    for least in (32, 1 << 30):
+        monkeypatch.setattr(ex, "CALM", least)
+        sets.append(ex.WorkingSet(64, 0.03))
+        sets[-1].offer(ids.astype(str).astype(object), x, y)
+    a, b = sets
+    assert (sorted(a.id), a.swaps, a.evals) == (sorted(b.id), b.swaps, b.evals) and None in passed
+
+
+def test_greedy_touches_near_cells_with_equal_results(monkeypatch):
+    """The rows of a pass over all rows for each pick, from far fewer kernel values."""
+    values, seen = kernels.values, []
+    monkeypatch.setattr(kernels, "values", lambda name, d2, eps: seen.append(np.size(d2)) or values(name, d2, eps))
+    for n, k, eps, places in ((4000, 600, 0.01, None), (3000, 300, 0.02, 50), (500, 500, 0.3, 4), (40, 60, 0.01, 1)):
+        rng = np.random.default_rng(n)
+        x, y = (rng.random(n) if places is None else rng.integers(0, places, n) / places for _ in "xy")
+        added, want = np.zeros(n), []
+        for _ in range(min(k, n)):
+            want.append(int(added.argmin()))
+            added += values("pair", (x - x[want[-1]]) ** 2 + (y - y[want[-1]]) ** 2, eps)
+            added[want[-1]] = np.inf
+        seen.clear()
+        assert ex.least_added(x, y, k, eps) == want
+        assert n != 4000 or sum(seen) < 0.4 * n * k
