@@ -2,9 +2,10 @@
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from spreadsample.functions import points
-from spreadsample.functions.runtime import together
+from spreadsample.functions.runtime import durable, together
 from spreadsample.operators import baselines as bl
 from spreadsample.operators import exchange as ex
 from spreadsample.operators import density, measures, tasks, workloads
@@ -107,3 +108,15 @@ def test_weights_of_several_samples(spark):
     drawn = [bl.uniform(p, k) for k in (5, 300)]
     for s, w in zip(drawn, density.by_indexes(drawn, p)):
         assert sorted(w.collect()) == sorted(density.by_scan(s, p).collect())
+
+
+def test_catalog_deals_rows_once_for_all_sizes(spark, monkeypatch, tmp_path):
+    monkeypatch.setattr(catalog, "BLOCK_ROWS", 1000)
+    seen = []
+    pools = ex.tile_pools
+    monkeypatch.setattr(ex, "tile_pools", lambda q, of, *a, **o: seen.append(sorted(of)) or pools(q, of, *a, **o))
+    p = workloads.point_set(spark, SF, "hubs")
+    m = catalog.build(spark, {"hubs": p}, [50, 300], str(tmp_path / "c"), workloads.EPS, durable, ("spread",))
+    assert seen == [[50, 300]] and m.count() == 2
+    stored = {r["k"]: (r["n"], r["d"]) for r in spark.read.parquet(str(tmp_path / "c")).groupBy("k").agg(F.count("*").alias("n"), F.sum("density").alias("d")).collect()}
+    assert stored == {50: (50, p.count()), 300: (300, p.count())}
