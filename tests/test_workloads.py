@@ -1,5 +1,7 @@
 """Samples that experiments share, and what they ask of all rows once."""
 
+import tracemalloc
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -103,6 +105,24 @@ def test_quadtree_is_exact():
     assert len(one.who) == 1 and one.nearest(np.ones(3), np.ones(3)).tolist() == [0, 0, 0]
 
 
+def test_quadtree_stays_small(monkeypatch):
+    """Ten thousand members with a long thin tail: every task builds the index, so it may not take hundreds of MB. Cells that are not
+    quartered are still exact."""
+    g = np.random.default_rng(4)
+    mx, my = g.integers(0, 86_400, 10_000) / 86_400, g.exponential(0.07, 10_000)
+    tracemalloc.start()
+    index = density.QuadIndex(mx, my)
+    peak = tracemalloc.get_traced_memory()[1] >> 20
+    tracemalloc.stop()
+    assert peak < 100
+    x, y = g.random(300), g.exponential(0.1, 300)
+    best = ((x[:, None] - mx) ** 2 + (y[:, None] - my) ** 2).argmin(axis=1)
+    assert (index.nearest(x, y) == best).all()
+    monkeypatch.setattr(density, "LEVEL_MEMBERS", 1 << 14)
+    monkeypatch.setattr(density, "QUARTERED", 1 << 10)
+    assert (density.QuadIndex(mx, my).nearest(x, y) == best).all()
+
+
 def test_weights_of_several_samples(spark):
     p = workloads.point_set(spark, SF, "hubs")
     drawn = [bl.uniform(p, k) for k in (5, 300)]
