@@ -140,3 +140,18 @@ def test_catalog_deals_rows_once_for_all_sizes(spark, monkeypatch, tmp_path):
     assert seen == [[50, 300]] and m.count() == 2
     stored = {r["k"]: (r["n"], r["d"]) for r in spark.read.parquet(str(tmp_path / "c")).groupBy("k").agg(F.count("*").alias("n"), F.sum("density").alias("d")).collect()}
     assert stored == {50: (50, p.count()), 300: (300, p.count())}
+
+
+def test_catalog_reads_rows_once_for_all_weights(spark, monkeypatch, tmp_path):
+    """Samples of all methods and sizes of a set share the scan of their weights, and are those that each makes alone."""
+    seen = []
+    count = density.by_indexes
+    monkeypatch.setattr(density, "by_indexes", lambda samples, *a, **o: seen.append(len(samples)) or count(samples, *a, **o))
+    p = workloads.point_set(spark, SF, "hubs")
+    m = catalog.build(spark, {"hubs": p}, [50, 300], str(tmp_path / "c"), workloads.EPS, durable)
+    assert seen == [6] and m.count() == 6
+    for method, make in (("uniform", bl.uniform), ("grid", bl.balanced_grid), ("spread", lambda q, k: workloads.spread(q, k))):
+        for k in (50, 300):
+            alone = make(p, k)
+            stored = spark.read.parquet(str(tmp_path / "c")).where((F.col("method") == method) & (F.col("k") == k))
+            assert sorted(stored.select("id", "density").collect()) == sorted(density.by_scan(alone, p).collect())
