@@ -155,3 +155,24 @@ def test_catalog_reads_rows_once_for_all_weights(spark, monkeypatch, tmp_path):
             alone = make(p, k)
             stored = spark.read.parquet(str(tmp_path / "c")).where((F.col("method") == method) & (F.col("k") == k))
             assert sorted(stored.select("id", "density").collect()) == sorted(density.by_scan(alone, p).collect())
+
+
+def test_wide_tiles_keep_more_rows(spark):
+    """Most rows in a corner, the others all over: the tiles' survivors must cover the wide part, or the sample is worse than a grid's."""
+    g = np.random.default_rng(5)
+    x, y = (np.concatenate((g.random(16_000) * 0.1, g.random(4_000))) for _ in range(2))
+    p = durable(spark.createDataFrame([(f"{i:05d}", float(a), float(b), 0.0, "a") for i, (a, b) in enumerate(zip(x, y))], "id string, x double, y double, value double, category string"))
+    pools = {r["k"]: r["n"] for r in ex.tile_pools(p, {1500: 64}, workloads.EPS, variant="add_drop").where("x > 0.1 or y > 0.1").groupBy("k").agg(F.count("*").alias("n")).collect()}
+    assert pools[1500] > 1200
+    j = lambda s: measures.objective_by_cells(s, workloads.EPS).first()[0]
+    assert j(ex.exchange_tiles(p, 1500, workloads.EPS, n_tiles=64)) < j(bl.balanced_grid(p, 1500))
+
+
+def test_quotas_reach_what_is_wanted():
+    g = np.random.default_rng(6)
+    for _ in range(200):
+        groups = {(i, 0): (int(g.integers(1, 50)), 0.0, float(g.random() ** 4), 0.0, float(g.integers(0, 2))) for i in range(int(g.integers(1, 20)))}
+        want = int(g.integers(1, 600))
+        got = ex.shares(groups, want)
+        assert all(1 <= got[k] <= n[0] for k, n in groups.items()) and sum(got.values()) >= min(want, sum(n[0] for n in groups.values()))
+    assert ex.shares({"crowd": (1000, 0.0, 0.1, 0.0, 0.1), "wide": (1000, 0.0, 1.0, 0.0, 1.0)}, 400)["wide"] > 250
