@@ -176,3 +176,33 @@ def test_quotas_reach_what_is_wanted():
         got = ex.shares(groups, want)
         assert all(1 <= got[k] <= n[0] for k, n in groups.items()) and sum(got.values()) >= min(want, sum(n[0] for n in groups.values()))
     assert ex.shares({"crowd": (1000, 0.0, 0.1, 0.0, 0.1), "wide": (1000, 0.0, 1.0, 0.0, 1.0)}, 400)["wide"] > 250
+
+
+def test_ablation_scans_all_rows(spark):
+    """No variant stops early, and none is extrapolated: evaluations without add-drop are those of all rows."""
+    n = points.load(spark, SF, "price").count()
+    rows = {(r["k"], r["variant"]): r for r in workloads.w12_ablation(spark, SF, small=20, large=300).collect()}
+    assert len(rows) == 8 and {r["rows_seen"] for r in rows.values()} == {n}
+    for k in (20, 300):
+        tested = rows[k, "burden_test"]
+        assert tested["kernel_evals"] == tested["whole_evals"] >= (n - k) * k * k > rows[k, "add_drop"]["whole_evals"]
+        assert tested["objective"] == pytest.approx(rows[k, "add_drop"]["objective"], rel=1e-6, abs=1e-12)
+
+
+def test_burden_test_decides_by_the_rule():
+    """With remembered proximities the same rows come in as when all are taken anew for each newcomer."""
+    g = np.random.default_rng(7)
+    x, y, ids, k = g.random(500) ** 2, g.random(500), np.array([f"{i:03d}" for i in range(500)], object), 40
+    work = ex.WorkingSet(k, 0.05, variant="burden_test")
+    work.offer(ids, x, y)
+    near = lambda a, b: np.exp(-((x[a][:, None] - x[b]) ** 2 + (y[a][:, None] - y[b]) ** 2) / (2 * 0.05**2))
+    held, swaps = np.arange(k), 0
+    for i in range(k, 500):
+        pairs, new = near(held, held), near(np.array([i]), held)[0]
+        gains = pairs.sum(axis=1) - 1 - (new.sum() - new)
+        if gains.max() > ex.SLACK:
+            held[gains.argmax()] = i
+            swaps += 1
+    assert sorted(work.id.tolist()) == sorted(ids[held].tolist()) and work.swaps == swaps
+    assert work.evals == k * (k - 1) // 2 + (500 - k) * k * k + swaps * k
+    assert np.allclose(work.b, work.exact_burdens(), rtol=1e-12, atol=1e-14)
