@@ -206,3 +206,14 @@ def test_burden_test_decides_by_the_rule():
     assert sorted(work.id.tolist()) == sorted(ids[held].tolist()) and work.swaps == swaps
     assert work.evals == k * (k - 1) // 2 + (500 - k) * k * k + swaps * k
     assert np.allclose(work.b, work.exact_burdens(), rtol=1e-12, atol=1e-14)
+
+
+def test_burden_test_passes_over_rows_that_stay_out():
+    """Beyond CALM members batches in single precision decide alike: the swaps and the set of add-drop, and evaluations for every row."""
+    g = np.random.default_rng(8)
+    x, y, ids, k = g.random(30_000), g.random(30_000) ** 2, np.arange(30_000).astype(str).astype(object), 600
+    tested, dropped = (ex.WorkingSet(k, 0.02, variant=v) for v in ("burden_test", "add_drop"))
+    for work in (tested, dropped):
+        work.offer(ids, x, y)
+    assert tested.swaps == dropped.swaps and sorted(tested.id) == sorted(dropped.id) and tested.calm > 1
+    assert tested.evals == k * (k - 1) // 2 + (30_000 - k) * k * k + tested.swaps * k
