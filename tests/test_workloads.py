@@ -217,3 +217,9 @@ def test_burden_test_passes_over_rows_that_stay_out():
         work.offer(ids, x, y)
     assert tested.swaps == dropped.swaps and sorted(tested.id) == sorted(dropped.id) and tested.calm > 1
     assert tested.evals == k * (k - 1) // 2 + (30_000 - k) * k * k + tested.swaps * k
+
+
+def test_scaling_makes_every_run(spark):
+    """No builder is left out at any size: plain exchange runs at K = 10,000 too."""
+    rows = workloads.w14_runtime_scaling(spark, SF).collect()
+    assert len(rows) == 24 and ("share100", "exchange", 10_000) in {(r["dataset"], r["method"], r["k"]) for r in rows}
